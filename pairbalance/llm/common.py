@@ -83,3 +83,15 @@ def sample_rows(docs: DataFrame, picked: DataFrame, id_column: str, text_column:
     chosen = F.broadcast(picked.toDF("__id", "__label"))
     joined = docs.select(F.col(id_column).alias("__doc"), filled(text_column).alias("__text"))
     return joined.join(chosen, F.col("__doc") == F.col("__id")).select("__doc", "__text", "__label").collect()
+
+
+_kept: dict[str, object] = {}
+
+
+def once_per_worker(key: str, make: Callable[[], object]):
+    """make() of this key, kept in the Python worker from task to task; the few latest keys stay."""
+    if key not in _kept:
+        while len(_kept) >= 4:
+            _kept.pop(next(iter(_kept)))
+        _kept[key] = make()
+    return _kept[key]
