@@ -126,7 +126,7 @@ SIGNATURES = [
 
 EVIDENCE = ("licen", "gpl", "rights", "permission", "redistribution", "commons", "domain")
 CC = r"cc(?:[\x00-\x2F\x3A-\x60\x7B-\x7F]+by|0)"
-WORD = r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
+OUTSIDE = r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"  # between words before A-Z are lower-cased
 BETWEEN = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 RULE = "struct<priority: int, label: string, pattern: string>"
 PLACES = "array<struct<start: int, size: int, priority: int, label: string>>"
@@ -202,7 +202,7 @@ def scan(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text",
         filed.setdefault(word, []).append({"priority": k, "label": label, "pattern": pattern})
     rules = F.from_json(F.lit(json.dumps(filed)), f"map<string, array<{RULE}>>")
     rows = docs.select(F.col(id_column).alias("doc_id"), filled(text_column).alias("text"))
-    counted = F.size(F.filter(F.split("text", BETWEEN), lambda w: w != "")).cast("long")
+    counted = F.size(F.filter(F.split("text", OUTSIDE), lambda w: w != "")).cast("long")
     rows = rows.select("doc_id", counted.alias("n_words"), "text", F.lower("text").alias("lowered"))
     rows = rows.select("doc_id", "n_words", F.when(gate(F.col("lowered")), joined_words(F.col("text"))).alias("words"))
     words = F.col("words")
