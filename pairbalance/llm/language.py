@@ -19,13 +19,12 @@ import re
 import uuid
 
 import numpy as np
-import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import BooleanType, DoubleType, LongType, StringType, StructField, StructType
 
 from .common import filled, fold_of, map_columns, once_per_worker, sample_rows
-from .hashing import mix
+from .hashing import GOLDEN, mix, runs
 
 SAMPLE_ROWS = 3_000
 BITS = 15
@@ -37,12 +36,24 @@ WORD = re.compile(r"[^\W\d_]+")
 UNKNOWN = "und"
 
 
-def subwords(word: str, bits: int = BITS) -> np.ndarray:
-    """Rows of the n-grams of a word and of the word itself."""
-    marked = f"<{word}>"
-    grams = [marked[i : i + n] for n in (3, 4, 5) for i in range(len(marked) - n + 1)]
-    hashes = np.array([xxhash.xxh3_64_intdigest(g) for g in [*grams, marked]], np.uint64)
-    return (mix(hashes) & np.uint64((1 << bits) - 1)).astype(np.int64)
+def subwords(words: list[str], bits: int = BITS) -> tuple[np.ndarray, np.ndarray]:
+    """Rows of the n-grams of each word and of the word itself, word after word, and how many each has."""
+    codes = np.frombuffer("".join(f"<{w}>" for w in words).encode("utf-32-le"), np.uint32).astype(np.uint64)
+    sizes = np.array([len(w) + 2 for w in words], np.int64)
+    owner = np.repeat(np.arange(len(words)), sizes)
+    starts = np.cumsum(sizes) - sizes
+    within = (np.arange(len(codes)) - starts[owner]).astype(np.uint64)
+    hashes = [np.add.reduceat(mix(codes + GOLDEN * (within + np.uint64(1))), starts)]
+    owners = [np.arange(len(words))]
+    for n in (3, 4, 5):
+        first = owner[: max(0, len(codes) - n + 1)]
+        inside = first == owner[n - 1 :][: len(first)]
+        hashes.append(runs(codes, n)[inside] + np.uint64(n))
+        owners.append(first[inside])
+    owners = np.concatenate(owners)
+    order = np.argsort(owners, kind="stable")
+    rows = (mix(np.concatenate(hashes)[order]) & np.uint64((1 << bits) - 1)).astype(np.int64)
+    return rows, np.bincount(owners, minlength=len(words))
 
 
 class Model:
@@ -53,17 +64,12 @@ class Model:
 
 
 def _segments(texts: list[str], rng: np.random.Generator) -> list[tuple[int, np.ndarray]]:
-    known: dict[str, np.ndarray] = {}
     out = []
     for k, text in enumerate(texts):
         words = WORD.findall(text.lower())
         starts = np.arange(0, len(words), SEGMENT_WORDS)
         for s in rng.permutation(starts)[:SEGMENTS_PER_ROW]:
-            part = words[s : s + SEGMENT_WORDS]
-            for w in part:
-                if w not in known:
-                    known[w] = subwords(w)
-            out.append((k, np.concatenate([known[w] for w in part])))
+            out.append((k, subwords(words[s : s + SEGMENT_WORDS])[0]))
     return out
 
 
@@ -127,32 +133,43 @@ def _calibrate(logits: np.ndarray, y: np.ndarray, share: float) -> tuple[float,
 class Predictor:
     """Predicts in a worker with a broadcast model; word sums are rows of a table that starts afresh when full."""
 
-    def __init__(self, model: Model, most: int = 200_000):
+    def __init__(self, model: Model, most: int = 300_000):
         self.model, self.most = model, most
         self.at: dict[str, int] = {}
         self.sums = np.zeros((1024, len(model.languages) + 1))
 
-    def _row(self, word: str) -> int:
-        row = self.at[word] = len(self.at)
-        if row >= len(self.sums):
-            self.sums = np.vstack([self.sums, np.zeros_like(self.sums)])
-        index = subwords(word)
-        self.sums[row, :-1] = self.model.table[index].sum(0)
-        self.sums[row, -1] = len(index)
-        return row
-
-    def __call__(self, text: str | None) -> tuple[str, float, bool]:
-        words = WORD.findall((text or "").lower())
-        if not words or not self.model.languages:
-            return UNKNOWN, 0.0, True
-        if len(self.at) >= self.most:
+    def _learn(self, words: list[str]) -> None:
+        """Sums of words that have none yet."""
+        if len(self.at) + len(words) > self.most:
             self.at.clear()
-        at = self.at
-        index = [at[w] if w in at else self._row(w) for w in words]
-        total = self.sums[index].sum(0)
-        p = _softmax((total[:-1] / total[-1] + self.model.bias)[None] / self.model.temperature)[0]
-        best = int(p.argmax())
-        return self.model.languages[best], float(p[best]), bool(p[best] < self.model.reject)
+        first = len(self.at)
+        while first + len(words) > len(self.sums):
+            self.sums = np.vstack([self.sums, np.zeros_like(self.sums)])
+        rows, counts = subwords(words)
+        self.sums[first : first + len(words), :-1] = np.add.reduceat(self.model.table[rows], np.cumsum(counts) - counts, axis=0, dtype=np.float64)
+        self.sums[first : first + len(words), -1] = counts
+        self.at.update(zip(words, range(first, first + len(words)), strict=True))
+
+    def __call__(self, texts: list[str | None]) -> list[tuple[str, float, bool]]:
+        split = [WORD.findall((t or "").lower()) for t in texts]
+        if not self.model.languages:
+            return [(UNKNOWN, 0.0, True)] * len(texts)
+        wanted = {w for words in split for w in words}
+        fresh = sorted(wanted - self.at.keys())
+        if fresh:
+            if len(self.at) + len(fresh) > self.most:  # _learn() starts afresh
+                fresh = sorted(wanted)
+            self._learn(fresh)
+        at, out = self.at.__getitem__, []
+        for words in split:
+            if not words:
+                out.append((UNKNOWN, 0.0, True))
+                continue
+            total = self.sums[np.fromiter(map(at, words), np.int64, len(words))].sum(0)
+            p = _softmax((total[:-1] / total[-1] + self.model.bias)[None] / self.model.temperature)[0]
+            best = int(p.argmax())
+            out.append((self.model.languages[best], float(p[best]), bool(p[best] < self.model.reject)))
+        return out
 
 
 PREDICTIONS = StructType([StructField("doc_id", LongType()), StructField("held_out", BooleanType()), StructField("lang_pred", StringType()), StructField("score", DoubleType()), StructField("rejected", BooleanType())])
@@ -172,7 +189,8 @@ def identify(docs: DataFrame, most: int = SAMPLE_ROWS, id_column: str = "doc_id"
 
     def run(columns: list) -> list:
         predict = once_per_worker(key, lambda: Predictor(model.value))
-        found = [predict(t) for t in columns[2].to_pylist()]
+        texts = columns[2].to_pylist()
+        found = [x for i in range(0, len(texts), 400) for x in predict(texts[i : i + 400])]
         return [columns[0], columns[1], *map(list, zip(*found, strict=True))]
 
     rows = docs.select(F.col(id_column).cast("long"), fold_of(id_column, HELD_OUT_FOLDS) == 0, filled(text_column))
