@@ -8,22 +8,40 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from pairbalance.llm import exact_dedup, piece_codec
+from pairbalance.llm import decontaminate, exact_dedup, minhash, piece_codec, quality
 from pairbalance.llm.common import cut
 
 
+def good_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the quality classifier accepts; it is fitted on labelled documents among those at hand."""
+    return quality.keep_good(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
+
+
 def without_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of documents that are equal but for white space the longest, then the one of smallest id, stays."""
     return exact_dedup.deduplicate(docs)
 
 
+def without_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Of each group of near duplicates the document of smallest id stays."""
+    return minhash.one_of_each(docs)
+
+
+def without_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that hold no benchmark item."""
+    return decontaminate.without_contaminated(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
+
+
 def as_pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Ids and decoded text of every document that is left, as counts and digests."""
     return piece_codec.encode_digests(docs)
 
 
 STAGES = [
+    ("quality classifier", good_quality),
     ("exact dedup", without_copies),
+    ("near-duplicate removal", without_near_copies),
+    ("benchmark decontamination", without_benchmark),
     ("piece encoding and decoding", as_pieces),
 ]
 
