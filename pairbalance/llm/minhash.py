@@ -8,14 +8,15 @@ are negatively correlated, which lowers the variance of the estimate.
 Documents of equal sets are one node. Bands of signature values give buckets. Documents meet their candidates in two
 ways, neither of which lists the pairs of a large group:
 
-1. stars: every member of a bucket is compared with the bucket's hub, a member picked by a hash; of its hubs each document
-   keeps the one of the best estimate. Confirmed links are joined to components.
-2. leftovers: in buckets that still hold several components, members of different components are compared. Members of one
-   component need no further link, so a group of copies is gone by now.
+1. stars: every member of a bucket is compared with the bucket's hub, the member that shares the largest buckets with
+   others; of its hubs each document keeps the one of the best estimate. Confirmed links are joined to components.
+2. leftovers: in buckets that still hold several components, members of different components are estimated against each
+   other, in blocks of a bounded number of rows; a pair is estimated in the first bucket that it shares. Members of
+   one component need no further link, so groups of copies are gone by now. Only pairs of a likely estimate leave a block.
 
-A pair is confirmed on the full sets: 100 * intersection >= 75 * union. An estimate far below the threshold (more than
-six standard deviations) saves the comparison. With 40 bands of 4 values, a pair at exactly 0.75 shares no band
-with a chance of 2.5e-7, and a more similar pair with less.
+A pair is confirmed on the full sets: 100 * intersection >= 75 * union. An estimate over 480 places that is more than 4.5
+standard deviations below the threshold saves the comparison. With 40 bands of 4 values, a pair at exactly 0.75
+shares no band with a chance of 2.5e-7, and a more similar pair with less.
 
 Defined results: words are what ASCII white space separates after A-Z are lower-cased; null and wordless texts have
 an empty set and no link; texts of fewer than five words have their whole sequence as one shingle; rows repeated whole
@@ -39,8 +40,11 @@ from .hashing import GOLDEN, WordHashes, mix, runs
 WORDS = 5
 BANDS, ROWS = 40, 4
 PLACES = BANDS * ROWS
-#: Over this estimate a pair is compared in full: 0.75 less six standard deviations of PLACES independent places.
-LIKELY = 0.75 - 6 * (0.75 * 0.25 / PLACES) ** 0.5
+MORE = 2  # further signatures, for estimates alone
+#: Over this estimate a pair is compared in full: 0.75 less 4.5 standard deviations of as many independent places.
+LIKELY = 0.75 - 4.5 * (0.75 * 0.25 / ((1 + MORE) * PLACES)) ** 0.5
+#: Leftovers of a bucket are compared in blocks of about this many rows on either side.
+BLOCK = 2_048
 #: Tables of ids or pairs up to this many rows (16 bytes each) are broadcast, larger ones are shuffled.
 BROADCAST_ROWS = 1_000_000
 CHUNK = 200_000
@@ -56,7 +60,7 @@ def shingles(text: bytes, hashes: WordHashes, n: int = WORDS) -> np.ndarray:
     return np.unique(runs(h, min(n, len(h))))
 
 
-def signatures(sets: list[np.ndarray], places: int = PLACES) -> np.ndarray:
+def signatures(sets: list[np.ndarray], places: int = PLACES, seed: int = 0) -> np.ndarray:
     """SuperMinHash of each set: places of (round << 24 | fraction); sets x places."""
     out = np.full((len(sets), places), EMPTY, np.uint32)
     flat, elements = out.ravel(), np.concatenate([*sets, np.zeros(0, np.uint64)])
@@ -67,7 +71,7 @@ def signatures(sets: list[np.ndarray], places: int = PLACES) -> np.ndarray:
         live = np.arange(len(chunk))
         for j in range(places):
             with np.errstate(over="ignore"):
-                bits = mix(chunk[live] + GOLDEN * np.uint64(j + 1))
+                bits = mix(chunk[live] + GOLDEN * np.uint64(j + 1 + 256 * seed))
             other = live * places + j + ((bits & np.uint64(0xFFFFFFFF)) % np.uint64(places - j)).astype(np.int64)
             place = order[other].astype(np.int64)
             order[other] = order[live * places + j]
@@ -91,6 +95,18 @@ def bands(signature: np.ndarray, count: int = BANDS) -> np.ndarray:
     return key.view(np.int64)
 
 
+def marks(sets: list[np.ndarray]) -> list[bytes]:
+    """For estimates: two bytes of each place of the banded signature, then one byte of each place of the others."""
+    first = (signatures(sets) & np.uint32(0xFFFF)).astype(np.uint16)
+    others = [(signatures(sets, seed=k) & np.uint32(0xFF)).astype(np.uint8) for k in range(1, MORE + 1)]
+    return [b"".join([x.tobytes() for x in row]) for row in zip(first, *others, strict=True)]
+
+
+def _mark_arrays(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    rows = np.frombuffer(b"".join(column.to_pylist()), np.uint8).reshape(len(column), -1)
+    return np.ascontiguousarray(rows[:, : 2 * PLACES]).view(np.uint16), rows[:, 2 * PLACES :]
+
+
 def _sets(texts: pa.Array) -> list[np.ndarray]:
     hashes = once_per_worker("word-hashes", WordHashes)
     return [shingles(t, hashes) for t in texts.cast(pa.binary()).to_pylist()]
@@ -126,29 +142,56 @@ def _full_sets(docs: DataFrame, ids: DataFrame, id_column: str, text_column: str
             for at in range(0, whole.num_rows, 400):
                 batch = whole.slice(at, 400)
                 sets = _sets(batch.column(1))
-                low = (signatures(sets) & np.uint32(0xFFFF)).astype(np.uint16)
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array([x.tobytes() for x in low], pa.binary()), pa.array([s.tobytes() for s in sets], pa.binary())], ["id", "n", "signature", "shingles"]
+                    [batch.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array(marks(sets), pa.binary()), pa.array([s.tobytes() for s in sets], pa.binary())], ["id", "n", "signature", "shingles"]
                 )
 
     rows = docs.select(F.col(id_column).cast("long").alias("id"), filled(text_column).alias("text"))
     return rows.join(_small(ids), "id", "left_semi").mapInArrow(run, "id long, n long, signature binary, shingles binary")
 
 
-def _estimated(pairs: DataFrame, keep: list[str]) -> DataFrame:
-    """Pairs (a, b, ..., sa, sb) whose estimate is likely, with the estimate; only the columns to keep."""
+def _estimated(pairs: DataFrame) -> DataFrame:
+    """(a, b, estimate) of the pairs (a, b, sa, sb) whose estimate is likely."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            if not batch.num_rows:
-                continue
-            sa, sb = (np.frombuffer(b"".join(batch.column(c).to_pylist()), np.uint16).reshape(batch.num_rows, -1) for c in ("sa", "sb"))
-            share = (sa == sb).mean(axis=1)
-            kept = batch.select(keep).append_column("estimate", pa.array(share, pa.float64()))
-            yield kept.filter(pa.array(share >= LIKELY))
-
-    schema = ", ".join(f"{c} {t}" for c, t in pairs.dtypes if c in keep) + ", estimate double"
-    return pairs.select(*keep, "sa", "sb").mapInArrow(run, schema)
+            if batch.num_rows:
+                (x, u), (y, v) = _mark_arrays(batch.column(2)), _mark_arrays(batch.column(3))
+                share = ((x == y).sum(axis=1) + (u == v).sum(axis=1)) / ((1 + MORE) * PLACES)
+                kept = batch.select(["a", "b"]).append_column("estimate", pa.array(share, pa.float64()))
+                yield kept.filter(pa.array(share >= LIKELY))
+
+    return pairs.select("a", "b", "sa", "sb").mapInArrow(run, "a long, b long, estimate double")
+
+
+def _block_pairs(key: tuple, table: pa.Table) -> pa.Table:
+    """Likely pairs (a, b), a < b, of different components in a block of a bucket, in the first band they share."""
+    band, left, right = (key[i].as_py() for i in (1, 2, 3))
+    ids, component, n, chunk = (table.column(c).to_numpy() for c in ("id", "component", "n", "chunk"))
+    x, u = _mark_arrays(table.column("signature").combine_chunks())
+    found = []
+    first = np.flatnonzero(chunk == left)
+    second = np.flatnonzero(chunk == right)
+    for k, i in enumerate(first):
+        others = second[k + 1 :] if left == right else second
+        others = others[(component[others] != component[i]) & (100 * np.minimum(n[others], n[i]) >= 75 * np.maximum(n[others], n[i]))]
+        if not len(others):
+            continue
+        equal = x[others] == x[i]
+        own = equal.reshape(len(others), BANDS, ROWS).all(axis=2).argmax(axis=1) == band
+        others, equal = others[own], equal[own]
+        share = (equal.sum(axis=1) + (u[others] == u[i]).sum(axis=1)) / ((1 + MORE) * PLACES)
+        found += [(min(ids[i], j), max(ids[i], j)) for j in ids[others[share >= LIKELY]]]
+    return pa.table([pa.array([int(p[i]) for p in found], pa.int64()) for i in (0, 1)], ["a", "b"])
+
+
+def _leftovers(open_members: DataFrame) -> DataFrame:
+    """Likely pairs (a, b) of different components that share a bucket; rows have key, band, size, id, component, n, signature."""
+    chunks = F.ceil(F.col("size") / BLOCK).cast("int")
+    rows = open_members.withColumn("chunk", F.pmod(F.xxhash64("id"), chunks).cast("int"))
+    blocks = F.transform(F.sequence(F.lit(0), chunks - 1), lambda o: F.struct(F.least(o, F.col("chunk")).alias("left"), F.greatest(o, F.col("chunk")).alias("right")))
+    rows = rows.withColumn("block", F.explode(blocks)).select("key", "band", "block.left", "block.right", "id", "component", "n", "chunk", "signature")
+    return rows.groupBy("key", "band", "left", "right").applyInArrow(_block_pairs, "a long, b long").distinct()
 
 
 def near_sizes(a: Column, b: Column) -> Column:
@@ -178,7 +221,7 @@ def _compared(pairs: DataFrame, full: DataFrame) -> DataFrame:
     """Pairs (a, b) with a likely estimate."""
     marks = full.select("id", "n", "signature")
     joined = pairs.join(marks.toDF("a", "na", "sa"), "a").join(marks.toDF("b", "nb", "sb"), "b").where(near_sizes(F.col("na"), F.col("nb")))
-    return _estimated(joined, ["a", "b"])
+    return _estimated(joined)
 
 
 def groups(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text") -> DataFrame:
@@ -186,25 +229,24 @@ def groups(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text"
     rows = cut(sketches(docs, id_column, text_column), "sketches")
     nodes = rows.where("digest IS NOT NULL").groupBy("digest").agg(F.min("id").alias("node"), F.any_value("bands").alias("bands"))
     nodes = cut(nodes, "nodes")
-    # the members of buckets of two or more, each with the bucket's hub
-    keyed = nodes.select(F.col("node").alias("id"), F.explode("bands").alias("key"))
-    shared = keyed.groupBy("key").agg(F.count("*").alias("size"), F.min_by("id", F.xxhash64("id")).alias("hub")).where("size > 1")
-    members = cut(keyed.join(shared.select("key", "hub"), "key"), "members")
+    # the members of buckets of two or more
+    keyed = nodes.select(F.col("node").alias("id"), F.posexplode("bands").alias("band", "key"))
+    shared = keyed.groupBy("key").agg(F.count("*").alias("size")).where("size > 1")
+    members = cut(keyed.join(shared, "key"), "members")
     full = cut(_full_sets(docs, members.select("id").distinct(), id_column, text_column), "sets").dropDuplicates(["id"])
     # stars
-    spokes = members.where("id <> hub").select(F.col("id").alias("a"), F.col("hub").alias("b")).distinct()
+    central = members.groupBy("id").agg(F.sum("size").alias("weight"))
+    hubs = members.join(central, "id").groupBy("key").agg(F.max_by("id", F.struct("weight", F.xxhash64("id"))).alias("hub"))
+    spokes = members.join(hubs, "key").where("id <> hub").select(F.col("id").alias("a"), F.col("hub").alias("b")).distinct()
     tried = cut(_compared(spokes, full).groupBy("a").agg(F.max_by("b", "estimate").alias("b")), "stars")
     links = cut(_confirmed(tried, full), "links")
     labels = components(links)
     # leftovers
-    named = members.select("key", "id").join(labels, "id", "left").select("key", "id", F.coalesce("component", "id").alias("component"))
+    named = members.join(labels, "id", "left").select("key", "band", "size", "id", F.coalesce("component", "id").alias("component"))
     mixed = named.groupBy("key").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low <> high").select("key")
-    open_members = cut(named.join(mixed, "key", "left_semi"), "open").join(full.select("id", "n", "signature"), "id")
-    one, two = (open_members.select("key", *(F.col(c).alias(c + s) for c in ("id", "component", "n", "signature"))) for s in "12")
-    met = one.join(two, "key").where((F.col("id1") < F.col("id2")) & (F.col("component1") != F.col("component2")) & near_sizes(F.col("n1"), F.col("n2")))
-    likely = _estimated(met.select(F.col("id1").alias("a"), F.col("id2").alias("b"), F.col("signature1").alias("sa"), F.col("signature2").alias("sb")), ["a", "b"])
+    open_members = named.join(mixed, "key", "left_semi").join(full.select("id", "n", "signature"), "id")
     failed = tried.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
-    rest = cut(likely.select("a", "b").distinct().join(failed, ["a", "b"], "left_anti"), "rest")
+    rest = cut(_leftovers(open_members).join(failed, ["a", "b"], "left_anti"), "rest")
     more = cut(_confirmed(rest, full), "links")
     if not more.isEmpty():
         labels = components(links.union(more))
