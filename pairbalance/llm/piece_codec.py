@@ -23,7 +23,7 @@ from pyspark.sql.types import LongType, StringType, StructField, StructType
 from .common import filled, map_columns
 from .pieces import MARK, Bounded, Pieces, model_bytes, per_worker, pretokens
 
-CACHED_WORDS = 250_000
+CACHED_WORDS = 350_000
 CACHED_PAIRS = 400_000
 
 
@@ -98,7 +98,7 @@ class PrefixEncoder:
         if word in known and known[word] in self.left:
             return [known[word]]
         last: list = [None] * n
-        fits, size = self.fits, 0
+        fits = self.fits
         for end, (size, piece) in self.automaton.iter(word):
             if last[end] is None:
                 start = end - size

@@ -69,16 +69,21 @@ def pretokens(text: str) -> list[str]:
 
 
 class Bounded(dict):
-    """A cache that computes what it lacks and starts afresh when it is full."""
+    """A cache that computes what it lacks. When it is full it becomes the old half, which is still asked, and the old
+    half goes; so it holds at most twice ``most`` entries, and frequent ones stay."""
 
     def __init__(self, make, most: int):
         super().__init__()
-        self.make, self.most = make, most
+        self.make, self.most, self.old = make, most, {}
 
     def __missing__(self, key):
         if len(self) >= self.most:
+            self.old = dict(self)
             self.clear()
-        value = self[key] = self.make(key)
+        value = self.old.get(key)
+        if value is None:
+            value = self.make(key)
+        self[key] = value
         return value
 
 
