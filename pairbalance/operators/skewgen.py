@@ -51,4 +51,4 @@ def key_sql(identity: str, n: int, b: int, s: float) -> str:
     while math.gcd(step, n) != 1:
         step += 2
     points = ", ".join(map(str, cut_points(n, b, s)))
-    return f"'k' || lpad(CAST(len(list_filter([{points}], e -> e <= ((({identity}) * {step}) % {n}))) AS VARCHAR), 4, '0')"
+    return f"'k' || lpad(CAST(len(list_filter([{points}], lambda e: e <= ((({identity}) * {step}) % {n}))) AS VARCHAR), 4, '0')"
