@@ -7,6 +7,7 @@ from collections.abc import Callable
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType
 
 
 def as_matcher(fn: Callable[[str, str], float], returns: str = "double"):
@@ -27,7 +28,7 @@ def gini_of(values: list[float]) -> float:
     return sum((2 * i - n + 1) * v for i, v in enumerate(ordered)) / (n * total)
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DoubleType())
 def gini(loads: pd.Series) -> float:
     """Inequality of loads, as an aggregate."""
     return float(gini_of(loads.tolist()))
