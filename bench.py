@@ -10,7 +10,7 @@ from pyspark.sql import SparkSession
 
 from pairbalance.operators import layout
 from pairbalance.plans import engine, measures
-from pairbalance.queries import QUERIES, documents
+from pairbalance.queries import QUERIES, documents, part
 
 SF = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
 CPUS = os.environ.get("BENCH_CPUS", "8")
@@ -49,6 +49,21 @@ def by_strategy(spark) -> dict[str, float]:
     return out
 
 
+def large(spark) -> dict[str, float]:
+    """About 25 million comparisons of product names in a few large blocks."""
+    rows = part(spark, SF)
+    total = 0
+
+    def run():
+        nonlocal total
+        plan = engine.first_stage(layout.with_partition(rows, 20), 100)
+        total = plan.total
+        return engine.compared(engine.pairs(plan, "pair_interval", attrs=True))
+
+    seconds = timed(run)
+    return {"part_pairs": total, "part_pair_interval_s": seconds, "part_ms_per_10k_pairs": round(measures.time_per_10k(seconds, total), 2)}
+
+
 def main() -> None:
     spark = (
         SparkSession.builder.master(f"local[{CPUS}]").appName("bench").config("spark.sql.shuffle.partitions", CPUS).config("spark.driver.memory", "16g")
@@ -57,7 +72,7 @@ def main() -> None:
     spark.sparkContext.setLogLevel("ERROR")
     force(QUERIES["block_profile"](spark, SF))  # start-up and compilation are not measured
     took = {name: timed(lambda name=name: QUERIES[name](spark, SF)) for name in HEADLINE}
-    print(json.dumps({"metric": "headline_total", "value": round(sum(took.values()), 3), "unit": "sec", "queries": took, "measures": by_strategy(spark), "sf": os.path.basename(SF.rstrip("/"))}))
+    print(json.dumps({"metric": "headline_total", "value": round(sum(took.values()), 3), "unit": "sec", "queries": took, "measures": by_strategy(spark) | large(spark), "sf": os.path.basename(SF.rstrip("/"))}))
 
 
 if __name__ == "__main__":

@@ -5,7 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .prefix import dense_index, running_sum
+from ..storage import cut as written
+from .prefix import dense_index, running_sum, running_sums
 
 WIDE = "decimal(38,0)"
 
@@ -61,6 +62,24 @@ def block_profile(matrix: DataFrame, two_source: bool = False, wide: bool = Fals
     return running_sum(rows, ["block_ix"], F.col("pairs"), "first_pair")
 
 
+def cells_and_profile(df: DataFrame, by_source: bool = False) -> tuple[DataFrame, DataFrame, int]:
+    """block_matrix() in byte order of the keys, block_profile() and all pairs, with one pass over the order for both the
+    index and the pairs before. Blocks without a pair keep their index; with two sources the profile drops them."""
+    side = ["source"] if by_source else []
+    counted = written(df.where(F.col("block_key").isNotNull()).groupBy("block_key", *side, "part_ix").agg(F.count("*").alias("n")), "counts")
+    if by_source:
+        of = lambda s: F.sum(F.when(F.col("source") == s, F.col("n")).otherwise(0)).cast("long")
+        sizes = counted.groupBy("block_key").agg(F.sum("n").cast("long").alias("n"), of("R").alias("n_r"), of("S").alias("n_s"))
+        sizes = sizes.withColumn("pairs", F.col("n_r") * F.col("n_s"))
+    else:
+        sizes = counted.groupBy("block_key").agg(F.sum("n").cast("long").alias("n")).withColumn("pairs", half(F.col("n") * (F.col("n") - 1), False))
+    indexed, totals = running_sums(sizes, ["block_key"], {"block_ix": F.lit(1).cast("long"), "first_pair": F.col("pairs")})
+    sized = [c for c in sizes.columns if c not in ("block_key", "pairs")]
+    every = written(indexed.select("block_key", "block_ix", *sized, "pairs", "first_pair"), "profile")
+    cells = written(counted.join(every.select("block_key", "block_ix"), "block_key").select("block_key", "block_ix", *side, "part_ix", "n"), "cells")
+    return cells, every.where("pairs > 0") if by_source else every, totals["first_pair"]
+
+
 def total_pairs(profile: DataFrame) -> int:
     """All pairs: one number that comes to the driver."""
     return int(profile.agg(F.coalesce(F.sum("pairs"), F.lit(0))).first()[0])

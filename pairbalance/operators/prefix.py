@@ -14,20 +14,31 @@ from pyspark.sql import functions as F
 from ..storage import cut
 
 
-def running_sum(df: DataFrame, order: list[str], value: Column, name: str, parts: int | None = None) -> DataFrame:
-    """df with the sum of value over all rows before, in the given order, which must be total."""
-    if name in df.columns:
-        raise ValueError(f"{name} exists")
+def running_sums(df: DataFrame, order: list[str], values: dict[str, Column], parts: int | None = None) -> tuple[DataFrame, dict[str, int]]:
+    """df with, for each named value, its sum over all rows before in the given order, which must be total; and the sums
+    over all rows. Nulls count as zero."""
+    if taken := set(values) & set(df.columns):
+        raise ValueError(f"{taken} exist")
     parts = parts or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    ranged = df.withColumn("__value", value).repartitionByRange(parts, *order).withColumn("__range", F.spark_partition_id())
+    held = {name: f"__{name}" for name in values}
+    ranged = df.withColumns({held[n]: c for n, c in values.items()}).repartitionByRange(parts, *order).withColumn("__range", F.spark_partition_id())
     ranged = cut(ranged, "ranges")  # which part a row is in must not change when it is computed again
-    sums = sorted((r["__range"], r["s"]) for r in ranged.groupBy("__range").agg(F.sum("__value").alias("s")).collect())
-    before = dict(zip([k for k, _ in sums], accumulate([0, *(s or 0 for _, s in sums[:-1])]), strict=True)) if sums else {}
-    kind = ranged.schema["__value"].dataType
-    offset = F.element_at(F.create_map(*(F.lit(x) for k, v in before.items() for x in (k, v))), F.col("__range")) if before else F.lit(0)
+    sums = sorted(tuple(r) for r in ranged.groupBy("__range").agg(*(F.coalesce(F.sum(h), F.lit(0)) for h in held.values())).collect())
     inside = Window.partitionBy("__range").orderBy(*order).rowsBetween(Window.unboundedPreceding, -1)
-    total = F.coalesce(F.sum("__value").over(inside), F.lit(0)) + offset
-    return ranged.withColumn(name, total.cast(kind if kind.typeName() == "decimal" else "long")).drop("__value", "__range")
+    totals, out = {}, ranged
+    for i, (name, h) in enumerate(held.items(), 1):
+        before = dict(zip((r[0] for r in sums), accumulate([0, *(r[i] for r in sums)]), strict=False))
+        totals[name] = int(sum(r[i] for r in sums))
+        kind = ranged.schema[h].dataType
+        offset = F.element_at(F.create_map(*(F.lit(x) for k, v in before.items() for x in (k, v))), F.col("__range")) if before else F.lit(0)
+        total = F.coalesce(F.sum(h).over(inside), F.lit(0)) + offset
+        out = out.withColumn(name, total.cast(kind if kind.typeName() == "decimal" else "long"))
+    return out.drop("__range", *held.values()), totals
+
+
+def running_sum(df: DataFrame, order: list[str], value: Column, name: str, parts: int | None = None) -> DataFrame:
+    """df with the sum of value over all rows before, in the given order, which must be total."""
+    return running_sums(df, order, {name: value}, parts)[0]
 
 
 def dense_index(df: DataFrame, order: list[str], name: str, parts: int | None = None) -> DataFrame:

@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 from ..functions.similarity import edit_distance_within
 from ..operators import layout, matrix, pair_interval, sub_block, whole_block
 from ..operators.numbering import interval_bounds
+from ..storage import cut as cut_table
 from . import schedule
 
 
@@ -30,12 +31,15 @@ class Plan:
 def first_stage(df: DataFrame, r: int, two_source: bool = False, combine: bool = True, explicit_order: list[str] | None = None, pieces: str = "input", max_entities: int | None = None) -> Plan:
     """Count cells and pairs. df has entity_id, block_key, part_ix (and source). ``pieces="auto"`` replaces the input
     partitions by as many pieces as the balance needs."""
-    cells = layout.cut(matrix.block_matrix(df, two_source, combine, explicit_order), "cells")
-    profile = layout.cut(matrix.block_profile(cells, two_source), "profile")
-    total = matrix.total_pairs(profile)
+    if combine and explicit_order is None:
+        cells, profile, total = matrix.cells_and_profile(df, two_source)
+    else:
+        cells = cut_table(matrix.block_matrix(df, two_source, combine, explicit_order), "cells")
+        profile = cut_table(matrix.block_profile(cells, two_source), "profile")
+        total = matrix.total_pairs(profile)
     if pieces == "auto" and not two_source:
         df = layout.with_pieces(df, profile, total, r, max_entities=max_entities)
-        cells = layout.cut(matrix.block_matrix(df, explicit_order=explicit_order), "cells")
+        cells = matrix.cells_and_profile(df)[0]
     return Plan(df, cells, profile, total, r, two_source)
 
 

@@ -32,18 +32,21 @@ def greedy(tasks: DataFrame, r: int, mode: str = "auto") -> DataFrame:
     ``exact`` brings the tasks to the driver and so has a limit on their number. ``classed`` brings only the distinct
     sizes and gives the same loads: which of two equal tasks goes where is all that may differ.
     """
-    if mode == "auto":
-        mode = "exact" if tasks.count() <= EXACT_TASKS else "classed"
-    return _exact(tasks, r) if mode == "exact" else _classed(tasks, r)
-
-
-def _exact(tasks: DataFrame, r: int) -> DataFrame:
+    if mode == "classed":
+        return _classed(tasks, r)
     rows = tasks.select(*TASKS.names).limit(EXACT_TASKS + 1).collect()
-    if len(rows) > EXACT_TASKS:
+    if len(rows) <= EXACT_TASKS:
+        return _exact(tasks, rows, r)
+    if mode == "exact":
         raise ValueError("too many tasks for the exact placement; use classed")
+    return _classed(tasks, r)
+
+
+def _exact(tasks: DataFrame, rows: list, r: int) -> DataFrame:
     rows.sort(key=lambda t: (-t.pairs, t.block_ix, t.hi, t.lo))
     placed = [(*t, i) for t, i in zip(rows, least_loaded([t.pairs for t in rows], r), strict=True)]
-    return tasks.sparkSession.createDataFrame(placed, "block_ix long, hi int, lo int, pairs long, reduce_ix int")
+    # at most EXACT_TASKS rows of 28 bytes, so records need no shuffle to meet them
+    return F.broadcast(tasks.sparkSession.createDataFrame(placed, "block_ix long, hi int, lo int, pairs long, reduce_ix int"))
 
 
 def filled_level(loads: np.ndarray, size: int, count: int) -> np.ndarray:

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -10,7 +11,7 @@ from pyspark.sql import functions as F
 from . import oracle
 from .functions import similarity
 from .operators import keys, layout, matrix, multi_key, numbering, pair_interval, relops, skewgen, sub_block, whole_block
-from .plans import engine, measures, nullkeys, schedule
+from .plans import engine, frame_reduce, measures, nullkeys, schedule
 from .sources import read
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -252,6 +253,11 @@ def salted_pairs(spark, sf_dir):
     return whole_block.salted(documents(spark, sf_dir), 4).select("left_id", "right_id")
 
 
+@query("adaptive_pairs", _PAIRS)
+def adaptive_pairs(spark, sf_dir):
+    return whole_block.pairs_adaptive(documents(spark, sf_dir)).select("left_id", "right_id")
+
+
 @query("all_pairs_small", "SELECT a.item_id AS left_id, b.item_id AS right_id FROM benchmark a JOIN benchmark b ON a.item_id < b.item_id")
 def all_pairs_small(spark, sf_dir):
     rows = keys.entities(read(spark, sf_dir, "benchmark"), F.col("item_id"), F.col("text"), keys.constant_key())
@@ -300,6 +306,18 @@ def blocking_loss(spark, sf_dir):
     return measures.blocking_recall(engine.match(rows, "pair_interval", R, M), reference)
 
 
+@query("grouped_reduce_pairs", _PAIRS)
+def grouped_reduce_pairs(spark, sf_dir):
+    """The reduce step as a pandas function over each task's groups."""
+    return frame_reduce.pairs_by_group(engine.routed(planned(spark, sf_dir), "sub_block"), R).select("left_id", "right_id")
+
+
+@query("cogrouped_reduce_pairs", oracle.pairs(oracle.DOCUMENTS, "a.block_key = b.block_key AND a.source = 'R' AND b.source = 'S'"))
+def cogrouped_reduce_pairs(spark, sf_dir):
+    """R and S of each task as a pandas function over both groups."""
+    return frame_reduce.pairs_by_cogroup(engine.routed(planned_two(spark, sf_dir), "sub_block"), R).select("left_id", "right_id")
+
+
 # --- two sources and missing keys ---------------------------------------------------------------------------------------
 
 _TWO = f"""e AS (SELECT *, CAST(CASE WHEN source = 'R' THEN entity_id % {M} ELSE entity_id % {M} + {M} END AS INT) AS part_ix FROM ({oracle.DOCUMENTS})),
@@ -436,8 +454,9 @@ UNION ALL SELECT 'whole_block', {r}, count(*) FROM e WHERE block_key IS NOT NULL
 @query("map_output_sweep", f"WITH {oracle.base(m=20)}, {oracle.PLACES} " + " UNION ALL ".join(map(_map_output_sql, SWEEP)))
 def map_output_sweep(spark, sf_dir):
     out = None
+    first = planned(spark, sf_dir, 1, 20)  # the first stage is the same for every r
     for r in SWEEP:
-        p = planned(spark, sf_dir, r, 20)
+        p = replace(first, r=r)
         for s in ("pair_interval", "whole_block"):
             row = engine.routed(p, s).agg(F.count("*").alias("rows_out")).select(F.lit(s).alias("strategy"), F.lit(r).alias("r"), "rows_out")
             out = row if out is None else out.unionByName(row)
@@ -452,8 +471,9 @@ def _sub_output_sql(r: int) -> str:
 @query("map_output_sweep_sub_block", f"WITH {oracle.base(m=20)} " + " UNION ALL ".join(map(_sub_output_sql, SWEEP)))
 def map_output_sweep_sub_block(spark, sf_dir):
     out = None
+    first = planned(spark, sf_dir, 1, 20)
     for r in SWEEP:
-        row = engine.routed(planned(spark, sf_dir, r, 20), "sub_block").agg(F.count("*").alias("rows_out")).select(F.lit(r).alias("r"), "rows_out")
+        row = engine.routed(replace(first, r=r), "sub_block").agg(F.count("*").alias("rows_out")).select(F.lit(r).alias("r"), "rows_out")
         out = row if out is None else out.unionByName(row)
     return out
 
@@ -462,8 +482,9 @@ def map_output_sweep_sub_block(spark, sf_dir):
 def imbalance_sweep_r(spark, sf_dir):
     """Largest and average load by number of reduce tasks and strategy, m = 20."""
     out = None
+    first = planned(spark, sf_dir, 1, 20)
     for r in (20, 40, 60, 80, 100, 120, 140, 160):
-        p = planned(spark, sf_dir, r, 20)
+        p = replace(first, r=r)
         for s in ("whole_block", "sub_block", "pair_interval"):
             row = measures.imbalance(engine.task_loads(p, s)).select(F.lit(r).alias("r"), F.lit(s).alias("strategy"), "largest", "over_average", "share")
             out = row if out is None else out.unionByName(row)
