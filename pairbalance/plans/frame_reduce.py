@@ -44,5 +44,6 @@ def pairs_by_cogroup(routed: DataFrame, r: int) -> DataFrame:
         return _frame(np.repeat(a, len(b)), np.tile(b, len(a)), key[1], key[0])
 
     rows = layout.route(routed.select(*KEY, "source", "entity_id"), r)
-    one, other = rows.where("source = 'R'").groupBy(*KEY), rows.where("source = 'S'").groupBy(*KEY)
-    return one.cogroup(other).applyInPandas(reduce, OUT)
+    one, other = rows.where("source = 'R'"), rows.where("source = 'S'")
+    other = other.toDF(*other.columns)  # columns of its own: both sides come from one table
+    return one.groupBy(*KEY).cogroup(other.groupBy(*KEY)).applyInPandas(reduce, OUT)
