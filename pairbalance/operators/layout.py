@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..storage import cut
-from .prefix import dense_index
+from .prefix import running_sums
 
 
 def with_partition(df: DataFrame, m: int, kind: str = "mod", order_by: list[str] | None = None) -> DataFrame:
@@ -20,8 +20,8 @@ def with_partition(df: DataFrame, m: int, kind: str = "mod", order_by: list[str]
     if kind == "hash":
         return df.withColumn("part_ix", F.pmod(F.xxhash64("entity_id"), F.lit(m)).cast("int"))
     if kind == "ordered":
-        ranked = dense_index(df, [*(order_by or ["block_key"]), "entity_id"], "__rank")
-        n = max(1, ranked.count())
+        ranked, sums = running_sums(df, [*(order_by or ["block_key"]), "entity_id"], {"__rank": F.lit(1).cast("long")})
+        n = max(1, sums["__rank"])
         return ranked.withColumn("part_ix", F.expr(f"cast(__rank * {m} div {n} as int)")).drop("__rank")
     if kind == "input":
         return materialise(df.withColumn("part_ix", F.pmod(F.spark_partition_id(), F.lit(m)).cast("int")))

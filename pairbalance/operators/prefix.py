@@ -19,9 +19,11 @@ def running_sums(df: DataFrame, order: list[str], values: dict[str, Column], par
     over all rows. Nulls count as zero."""
     if taken := set(values) & set(df.columns):
         raise ValueError(f"{taken} exist")
-    parts = parts or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     held = {name: f"__{name}" for name in values}
-    ranged = df.withColumns({held[n]: c for n, c in values.items()}).repartitionByRange(parts, *order).withColumn("__range", F.spark_partition_id())
+    valued = df.withColumns({held[n]: c for n, c in values.items()})
+    # without a number Spark merges small neighbouring ranges at run time, and their order stays
+    ranged = valued.repartitionByRange(parts, *order) if parts else valued.repartitionByRange(*order)
+    ranged = ranged.withColumn("__range", F.spark_partition_id())
     ranged = cut(ranged, "ranges")  # which part a row is in must not change when it is computed again
     sums = sorted(tuple(r) for r in ranged.groupBy("__range").agg(*(F.coalesce(F.sum(h), F.lit(0)) for h in held.values())).collect())
     inside = Window.partitionBy("__range").orderBy(*order).rowsBetween(Window.unboundedPreceding, -1)
