@@ -69,8 +69,8 @@ def fit(examples: list[tuple[str, int]], bits: int = BITS, epochs: int = 3, rate
     rows = []
     for text, label in examples:
         index, counts = np.unique(features(text), return_counts=True)
-        index = np.append(index, size)  # the bias
-        value = np.append(counts * (SCALE / max(1, counts.sum())), 1.0)
+        index = np.append(index, size).astype(np.int32)  # the bias comes last
+        value = np.append(counts * (SCALE / max(1, counts.sum())), 1.0).astype(np.float32)
         rows.append((index, value, float(label)))
     z, n = np.zeros(size + 1), np.zeros(size + 1)
 
