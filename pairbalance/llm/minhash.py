@@ -47,6 +47,8 @@ LIKELY = 0.75 - 4.5 * (0.75 * 0.25 / ((1 + MORE) * PLACES)) ** 0.5
 BLOCK = 2_048
 #: Tables of ids or pairs up to this many rows (16 bytes each) are broadcast, larger ones are shuffled.
 BROADCAST_ROWS = 1_000_000
+#: Pairs of one hub that meet in a task.
+HUB_ROWS = 256
 CHUNK = 200_000
 EMPTY = np.uint32(0xFFFFFFFF)
 
@@ -200,7 +202,8 @@ def near_sizes(a: Column, b: Column) -> Column:
 
 
 def _confirmed(pairs: DataFrame, full: DataFrame) -> DataFrame:
-    """The pairs (a, b) whose full sets are similar enough; ids of b may be hot."""
+    """The pairs (a, b) whose full sets are similar enough. A hub b of many pairs is dealt out over salts, each with a
+    copy of its set, so no task gets more than about HUB_ROWS pairs of one hub."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -212,9 +215,12 @@ def _confirmed(pairs: DataFrame, full: DataFrame) -> DataFrame:
             yield batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
     sets = full.select(F.col("id"), "shingles")
-    hubs = sets.join(_small(pairs.select(F.col("b").alias("id")).distinct()), "id", "left_semi").toDF("b", "y")
-    left = sets.toDF("a", "x").join(_small(pairs.select("a", "b")), "a").select("a", "b", "x")
-    return left.join(hubs, "b").select("a", "b", "x", "y").mapInArrow(run, "a long, b long")
+    salts = pairs.groupBy("b").agg(F.ceil(F.count("*") / HUB_ROWS).cast("int").alias("salts"))
+    salted = pairs.join(salts, "b").select("a", "b", F.pmod(F.xxhash64("a"), "salts").cast("int").alias("salt"))
+    hubs = sets.join(_small(salts.withColumnRenamed("b", "id")), "id")
+    hubs = hubs.select(F.col("id").alias("b"), F.explode(F.sequence(F.lit(0), F.col("salts") - 1)).alias("salt"), F.col("shingles").alias("y"))
+    left = sets.toDF("a", "x").join(_small(salted), "a").select("a", "b", "salt", "x")
+    return left.join(hubs, ["b", "salt"]).select("a", "b", "x", "y").mapInArrow(run, "a long, b long")
 
 
 def _compared(pairs: DataFrame, full: DataFrame) -> DataFrame:
