@@ -15,11 +15,17 @@ from .matrix import cell_prefix
 from .numbering import cell, cell_two_source, div, interval_bounds, interval_of, uncell
 
 
-def with_entity_index(df: DataFrame, matrix: DataFrame, by_source: bool = False) -> DataFrame:
+def with_entity_index(df: DataFrame, matrix: DataFrame, by_source: bool = False, paired: bool = False) -> DataFrame:
     """Keyed records with block_ix and entity_ix, the place inside the block (and source): partitions one after another,
-    by id inside a partition. The window works on one cell at a time."""
+    by id inside a partition. The window works on one cell at a time. ``paired`` leaves out blocks without a pair, which
+    are most blocks of a large table, before any record is moved."""
     side = ["source"] if by_source else []
-    before = cell_prefix(matrix, by_source).select("block_key", "block_ix", *side, "part_ix", "before")
+    before = cell_prefix(matrix, by_source)
+    if paired:
+        block = Window.partitionBy("block_ix")
+        some = F.min("source").over(block) != F.max("source").over(block) if by_source else F.sum("n").over(block) > 1
+        before = before.withColumn("some", some).where("some")
+    before = before.select("block_key", "block_ix", *side, "part_ix", "before")
     w = Window.partitionBy("block_key", *side, "part_ix").orderBy("entity_id")
     return df.join(before, ["block_key", *side, "part_ix"]).withColumn("entity_ix", (F.row_number().over(w) - 1 + F.col("before")).cast("long")).drop("before")
 

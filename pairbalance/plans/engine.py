@@ -63,7 +63,7 @@ def routed(plan: Plan, strategy: str, cut: str = "proportional", relevance: str
         return whole_block.route(plan.records, plan.r)
     if strategy == "sub_block":
         return sub_block.route(with_index(plan), tasks(plan, mode))
-    indexed = pair_interval.with_entity_index(plan.records, plan.cells, plan.two_source)
+    indexed = pair_interval.with_entity_index(plan.records, plan.cells, plan.two_source, paired=True)
     parts = pair_interval.segments(plan.profile, plan.total, plan.r, cut)
     return pair_interval.route_two_source(indexed, parts) if plan.two_source else pair_interval.route(indexed, parts, relevance)
 
@@ -80,7 +80,7 @@ def pairs(plan: Plan, strategy: str, cut: str = "proportional", relevance: str =
     if plan.two_source:
         return pair_interval.pairs_two_source(routed(plan, strategy, cut), plan.r, attrs)
     if roles:
-        indexed = pair_interval.with_entity_index(plan.records, plan.cells)
+        indexed = pair_interval.with_entity_index(plan.records, plan.cells, paired=True)
         parts = pair_interval.segments(plan.profile, plan.total, plan.r, cut)
         return pair_interval.pairs(*pair_interval.route_roles(indexed, parts), plan.r, attrs)
     rows = routed(plan, strategy, cut, relevance)
