@@ -210,3 +210,14 @@ def test_all_pairs_refuses_large_inputs(spark):
     with pytest.raises(ValueError):
         whole_block.all_pairs(entities(spark, [(i, "a", "k") for i in range(12)]), most=10)
     assert keys.prefix_key("x", 5) is not None
+
+
+def test_blocks_without_a_pair_are_left_out_early(spark):
+    rows = [(0, "a", "k", "R"), (1, "a", "k", "S"), (2, "a", "j", "R"), (3, "a", "j", "R"), (4, "a", "solo", "S")]
+    df = spark.createDataFrame(rows, "entity_id long, attr string, block_key string, source string")
+    two = engine.first_stage(engine.two_source_layout(df, 2, 2), 3, two_source=True)
+    left = pair_interval.with_entity_index(two.records, two.cells, True, paired=True).collect()
+    assert {r.entity_id for r in left} == {0, 1}
+    one = engine.first_stage(layout.with_partition(df.drop("source"), 2), 3)
+    left = pair_interval.with_entity_index(one.records, one.cells, paired=True).collect()
+    assert {r.entity_id for r in left} == {0, 1, 2, 3}
