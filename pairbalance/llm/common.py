@@ -57,12 +57,16 @@ def sample_rows(docs: DataFrame, picked: DataFrame, id_column: str, text_column:
 
 
 _kept: dict[str, object] = {}
+KEPT = 2
 
 
 def once_per_worker(key: str, make: Callable[[], object]):
-    """make() of this key, kept in the Python worker from task to task; the few latest keys stay."""
-    if key not in _kept:
-        while len(_kept) >= 4:
+    """make() of this key, kept in the Python worker from task to task. Only the last few keys stay, so that the caches of
+    one operator are gone when a worker turns to others."""
+    found = _kept.pop(key, None)
+    if found is None:
+        while len(_kept) >= KEPT:
             _kept.pop(next(iter(_kept)))
-        _kept[key] = make()
-    return _kept[key]
+        found = make()
+    _kept[key] = found
+    return found

@@ -8,7 +8,7 @@ import xxhash
 from .pieces import Bounded
 
 GOLDEN = np.uint64(0x9E3779B97F4A7C15)
-CACHED_WORDS = 250_000
+CACHED_WORDS = 150_000
 
 
 def mix(x: np.ndarray) -> np.ndarray:

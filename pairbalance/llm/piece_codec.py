@@ -23,8 +23,8 @@ from pyspark.sql.types import LongType, StringType, StructField, StructType
 from .common import filled, map_columns
 from .pieces import MARK, Bounded, Pieces, model_bytes, per_worker, pretokens
 
-CACHED_WORDS = 350_000
-CACHED_PAIRS = 400_000
+CACHED_WORDS = 250_000
+CACHED_PAIRS = 200_000
 
 
 class PrefixEncoder:

@@ -7,6 +7,8 @@ from pathlib import Path
 
 import sentencepiece
 
+from .common import once_per_worker
+
 MARK = "▁"  # stands for a space
 #: No piece of such a model has a mark behind another character, so no merge crosses the start of a pre-token.
 _RUNS = re.compile(f"{MARK}+[^{MARK}\n]*|\n|[^{MARK}\n]+")
@@ -87,12 +89,6 @@ class Bounded(dict):
         return value
 
 
-_workers: dict = {}
-
-
-def per_worker(kind, model: bytes, *more):
-    """One instance of kind(model, ...) in each Python worker, kept from task to task."""
-    key = (kind, hash(model), *more)
-    if key not in _workers:
-        _workers[key] = kind(model, *more)
-    return _workers[key]
+def per_worker(kind, model: bytes):
+    """One instance of kind(model) in each Python worker, kept from task to task."""
+    return once_per_worker(f"{kind.__name__}-{hash(model)}", lambda: kind(model))

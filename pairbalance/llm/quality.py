@@ -50,7 +50,7 @@ class Featurizer:
 
     def __init__(self, bits: int = BITS):
         self.mask = np.uint64((1 << bits) - 1)
-        self.known = Bounded(_packed, 200_000)
+        self.known = Bounded(_packed, 150_000)
 
     def __call__(self, text: str) -> np.ndarray:
         tokens = TOKEN.findall(text)
