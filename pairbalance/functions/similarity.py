@@ -17,11 +17,11 @@ def _longest(a: Column, b: Column) -> Column:
 def edit_distance_within(a: Column, b: Column, tenths: int = 8) -> Column:
     """The edit distance where 1 - distance / longer length is at least tenths / 10, else null.
 
-    All in whole numbers: the bound lets the distance stop early, and lengths that differ by more skip it.
+    All in whole numbers: the bound keeps the distance to a band, and equal texts and lengths that differ by more skip it.
     """
     bound = F.call_function("div", _longest(a, b) * (10 - tenths), F.lit(10)).cast("int")
     near = F.abs(F.length(a) - F.length(b)) <= bound
-    d = F.when(near, F.call_function("levenshtein", a, b, bound))
+    d = F.when(a == b, F.lit(0)).when(near, F.call_function("levenshtein", a, b, bound))
     return F.when(d >= 0, d)
 
 
@@ -34,6 +34,16 @@ def edit_similarity(a: Column, b: Column) -> Column:
     return F.when(_longest(a, b) == 0, F.lit(1.0)).otherwise(1.0 - F.levenshtein(a, b) / _longest(a, b))
 
 
+def edit_similarity_within(tenths: int) -> Measure:
+    """The edit similarity where it is at least tenths / 10, else 0: within the bound of edit_distance_within."""
+
+    def bounded(a: Column, b: Column) -> Column:
+        d = edit_distance_within(a, b, tenths)
+        return F.when(_longest(a, b) == 0, F.lit(1.0)).otherwise(F.coalesce(1.0 - d / _longest(a, b), F.lit(0.0)))
+
+    return bounded
+
+
 def tokens(a: Column) -> Column:
     return F.array_distinct(F.filter(F.split(F.lower(a), "[^a-z0-9]+"), lambda t: t != ""))
 

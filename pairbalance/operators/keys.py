@@ -29,12 +29,6 @@ def with_block_key(df: DataFrame, key: Column, policy: str = "as_is", length: in
     return df.withColumn("block_key", key if policy == "as_is" else strict(key, length))
 
 
-def folded(column: str | Column, points: int = 60) -> Column:
-    """The first printable ASCII characters of a text."""
-    c = F.col(column) if isinstance(column, str) else column
-    return F.left(F.regexp_replace(c, "[^ -~]", ""), F.lit(points))
-
-
 def entities(df: DataFrame, entity_id: Column, attr: Column, key: Column, policy: str = "as_is", source: Column | None = None) -> DataFrame:
     """(entity_id, attr, block_key[, source]) of a table: the narrow rows that the methods move; join the rest back later."""
     columns = [entity_id.cast("long").alias("entity_id"), attr.alias("attr"), (key if policy == "as_is" else strict(key)).alias("block_key")]

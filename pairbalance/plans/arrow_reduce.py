@@ -13,8 +13,9 @@ from ..operators import layout
 SCHEMA = "left_id long, right_id long, left_attr string, right_attr string, block_ix long, reduce_ix int"
 
 
-def pairs_by_stream(routed: DataFrame, r: int, most: int = 50_000) -> DataFrame:
-    """Pairs of every task, holding one piece of one task at a time and giving out at most ``most`` pairs at once.
+def pairs_by_stream(routed: DataFrame, r: int, most: int = 50_000, most_text: int = 1 << 25) -> DataFrame:
+    """Pairs of every task, holding one piece of one task at a time and giving out at most ``most`` pairs,
+    or about ``most_text`` characters of them, at once.
 
     Rows are sorted with the kept side first, so the other side streams past it; the order of arrival is by this
     sort and never assumed.
@@ -24,7 +25,7 @@ def pairs_by_stream(routed: DataFrame, r: int, most: int = 50_000) -> DataFrame:
     rows = rows.select("reduce_ix", "block_ix", "hi", "lo", "side", "entity_id", "attr")
 
     def reduce(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        task, held, out = None, [], []
+        task, held, out, size = None, [], [], 0
         for batch in batches:
             for ix, block, hi, lo, side, identity, attr in zip(*(c.to_pylist() for c in batch.columns), strict=True):
                 if (ix, block, hi, lo) != task:
@@ -33,9 +34,10 @@ def pairs_by_stream(routed: DataFrame, r: int, most: int = 50_000) -> DataFrame:
                     for other, other_attr in held:
                         first, second = sorted(((identity, attr), (other, other_attr)), key=lambda x: x[0])
                         out.append((first[0], second[0], first[1], second[1], block, ix))
-                        if len(out) >= most:
+                        size += len(attr or "") + len(other_attr or "")
+                        if len(out) >= most or size >= most_text:
                             yield give(out)
-                            out = []
+                            out, size = [], 0
                 if side == 0:
                     held.append((identity, attr))
         yield give(out)

@@ -36,16 +36,16 @@ def query(name: str, sql: str | None = None) -> Callable[[Query], Query]:
 
 def documents(spark: SparkSession, sf_dir: str, policy: str = "as_is") -> DataFrame:
     side = F.when(F.substring("source", 4, 9).cast("int") < 10, "R").otherwise("S")
-    return keys.entities(read(spark, sf_dir, "documents"), F.col("doc_id"), keys.folded("text"), keys.prefix_key("text"), policy, side)
+    return keys.entities(read(spark, sf_dir, "documents"), F.col("doc_id"), F.col("text"), keys.prefix_key("text"), policy, side)
 
 
 def pages(spark: SparkSession, sf_dir: str) -> DataFrame:
     title = F.regexp_extract("html", "<title>([^<]*)</title>", 1)
-    return keys.entities(read(spark, sf_dir, "pages"), F.col("page_id"), keys.folded(title), keys.prefix_key(title))
+    return keys.entities(read(spark, sf_dir, "pages"), F.col("page_id"), title, keys.prefix_key(title))
 
 
 def conversations(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return keys.entities(read(spark, sf_dir, "conversations"), F.col("conv_id") * 1000 + F.col("turn"), keys.folded("text"), keys.prefix_key("text"))
+    return keys.entities(read(spark, sf_dir, "conversations"), F.col("conv_id") * 1000 + F.col("turn"), F.col("text"), keys.prefix_key("text"))
 
 
 def part(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -294,7 +294,8 @@ for _s in ("whole_block", "sub_block", "pair_interval"):
  (CASE WHEN greatest(length(a.attr), length(b.attr)) = 0 THEN 1.0::DOUBLE ELSE 1 - levenshtein(a.attr, b.attr) / greatest(length(a.attr), length(b.attr)) END) * 3 + (CASE WHEN a.attr = b.attr THEN 1 ELSE 0 END) >= 3.2"""))
 def matches_combined(spark, sf_dir):
     same = lambda a, b: (a == b).cast("double")
-    measure = similarity.combined([similarity.edit_similarity, same], [3.0, 1.0])
+    # a mean of 0.8 takes an edit similarity of 2.2 / 3 at least, so those below 0.7 need not be known
+    measure = similarity.combined([similarity.edit_similarity_within(7), same], [3.0, 1.0])
     return engine.match(documents(spark, sf_dir), "pair_interval", R, M, matcher=measure, threshold=0.8).select("left_id", "right_id")
 
 
