@@ -31,7 +31,7 @@ BASE = {"gnu general public license": "gpl", "apache license": "apache", "cc by"
 _V = r"(?: version| v)?"
 _PUBLIC = "(?:general )?public licen[sc]e"
 
-#: (label, keyword among the words, signature over words joined by spaces), the more specific ones first.
+#: (label, keyword among the words (or one of its FORMS), signature over words joined by spaces), the more specific ones first.
 SIGNATURES = [
     *((f"agpl-{n}.0", "affero", rf"(?:gnu )?affero {_PUBLIC}{_V} {n}(?: 0)?(?: or (?:any )?later(?: version)?)?") for n in (1, 2, 3)),
     ("agpl", "affero", rf"(?:gnu )?affero {_PUBLIC}"),
@@ -124,7 +124,16 @@ SIGNATURES = [
     ("all-rights-reserved", "rights", r"all rights reserved"),
 ]
 
-EVIDENCE = ("licen", "gpl", "rights", "permission", "redistribution", "commons", "domain")
+#: Whole words by which the signatures of a keyword may show where they allow it glued on or leave it out.
+FORMS = {
+    "agpl": ("agpl", "agpl3", "agplv3"),
+    "lgpl": ("lgpl", "lgpl2", "lgplv2", "lgpl3", "lgplv3"),
+    "gpl": ("gpl", "gpl1", "gplv1", "gpl2", "gplv2", "gpl3", "gplv3"),
+    "commons": ("commons", "dedication"),
+    "beer": ("beer", "beerware"),
+}
+
+EVIDENCE = ("licen", "gpl", "rights", "permission", "redistribution", "commons", "domain", "attribution")
 CC = r"cc(?:[\x00-\x2F\x3A-\x60\x7B-\x7F]+by|0)"
 OUTSIDE = r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"  # between words before A-Z are lower-cased
 BETWEEN = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
@@ -199,7 +208,8 @@ def scan(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text",
     """One row per row of docs: its words, base places, labels and score."""
     filed: dict[str, list[dict]] = {}
     for k, (label, word, pattern) in enumerate(signatures):
-        filed.setdefault(word, []).append({"priority": k, "label": label, "pattern": pattern})
+        for form in FORMS.get(word, (word,)):
+            filed.setdefault(form, []).append({"priority": k, "label": label, "pattern": pattern})
     rules = F.from_json(F.lit(json.dumps(filed)), f"map<string, array<{RULE}>>")
     rows = docs.select(F.col(id_column).alias("doc_id"), filled(text_column).alias("text"))
     counted = F.size(F.filter(F.split("text", OUTSIDE), lambda w: w != "")).cast("long")
@@ -207,7 +217,7 @@ def scan(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text",
     rows = rows.select("doc_id", "n_words", F.when(gate(F.col("lowered")), joined_words(F.col("text"))).alias("words"))
     words = F.col("words")
     present = F.filter(F.array(*map(F.lit, sorted(filed))), lambda k: F.contains(words, F.concat(F.lit(" "), k, F.lit(" "))))
-    selected = F.flatten(F.transform(present, lambda k: F.try_element_at(rules, k)))
+    selected = F.array_distinct(F.flatten(F.transform(present, lambda k: F.try_element_at(rules, k))))
     held = words.isNotNull()
     kept = _unsuppressed(F.flatten(F.transform(selected, lambda r: _places(words, r))))
     rows = rows.select("doc_id", "n_words", F.when(held, F.struct(F.array(*_base(words)).alias("base"), kept.alias("kept"))).alias("found"))

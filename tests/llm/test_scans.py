@@ -67,6 +67,46 @@ def test_every_signature_passes_the_gate(spark):
     assert len(license_scan.SIGNATURES) > 200
 
 
+def matched(parsed):
+    """Every text that a parsed signature matches."""
+    out = [""]
+    for op, arg in parsed:
+        match str(op):
+            case "LITERAL":
+                parts = [chr(arg)]
+            case "IN":
+                parts = [chr(c) for _, c in arg]
+            case "SUBPATTERN":
+                parts = matched(arg[-1])
+            case "BRANCH":
+                parts = [t for b in arg[1] for t in matched(b)]
+            case "MAX_REPEAT":
+                assert arg[:2] == (0, 1)
+                parts = ["", *matched(arg[2])]
+            case _:
+                raise ValueError(op)
+        out = [a + b for a in out for b in parts]
+    return out
+
+
+def test_every_text_of_a_signature_passes_gate_and_keyword():
+    for label, keyword, pattern in license_scan.SIGNATURES:
+        for text in matched(re._parser.parse(pattern)):
+            assert re.fullmatch(pattern, text)
+            words = text.split()
+            assert set(license_scan.FORMS.get(keyword, (keyword,))) & set(words), (label, text)
+            assert any(e in w for w in words for e in license_scan.EVIDENCE) or re.search(license_scan.CC, text), (label, text)
+
+
+def test_license_scan_of_glued_and_optional_words(spark):
+    texts = ["under AGPLv3", "AGPL3 only", "LGPLv2.1 or later", "lgpl2.1", "LGPLv3.0", "GPL3", "GPL2 only and GPLv2", "GPLv1 or later", "Beerware License", "MIT No Attribution", "Public Domain Dedication and License", "AGPL v3 and AGPLv3"]
+    found = {r.doc_id: r for r in license_scan.scan(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
+    for k, text in enumerate(texts):
+        kept = license_labels(license_base(text)[-1])
+        assert kept and found[k].labels == ",".join(sorted(set(kept))), text
+        assert abs(found[k].score - len(kept) / (len(kept) + 1)) < 1e-9
+
+
 def test_license_scan_of_nothing(none):
     assert license_scan.scan(none).collect() == []
 
