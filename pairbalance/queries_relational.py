@@ -252,9 +252,9 @@ def date_functions(spark, sf_dir):
 
 @query("array_functions", "SELECT doc_id, len(list_distinct(string_split(lower(left(text, 200)), ' '))) AS n, array_to_string(list_sort(list_distinct(list_filter(string_split(left(text, 200), ' '), lambda x: length(x) > 6))), ',') AS long_words, CAST(list_sum(list_transform(string_split(left(text, 200), ' '), lambda x: length(x))) AS BIGINT) AS letters FROM documents")
 def array_functions(spark, sf_dir):
-    words = F.split(F.left("text", F.lit(200)), " ")
+    words = F.split("text", " ")
     return read(spark, sf_dir, "documents").select(
-        "doc_id", F.size(F.array_distinct(F.split(F.lower(F.left("text", F.lit(200))), " "))).cast("long").alias("n"),
+        "doc_id", F.size(F.array_distinct(F.split(F.lower("text"), " "))).cast("long").alias("n"),
         F.array_join(F.sort_array(F.array_distinct(F.filter(words, lambda x: F.length(x) > 6))), ",").alias("long_words"), F.aggregate(words, F.lit(0).cast("long"), lambda s, x: s + F.length(x)).alias("letters"),
     )
 

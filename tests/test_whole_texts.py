@@ -5,7 +5,7 @@ import itertools
 import pytest
 from pyspark.sql import functions as F
 
-from pairbalance import queries
+from pairbalance import queries, queries_relational  # noqa: F401  the second adds to the registry
 from pairbalance.functions import similarity
 from pairbalance.plans import engine
 
@@ -79,3 +79,13 @@ def test_bounded_similarity(spark):
 def test_streamed_matches(spark, table):
     got = {(r.left_id, r.right_id): r.distance for r in engine.match(queries.documents(spark, table[0]), "sub_block", 3, 2, reducer="arrow").collect()}
     assert got == brute(table[1], same_key)
+
+
+def test_array_functions(spark, tmp_path):
+    texts = ["one two  two " + "word " * 60 + "Overlong overlong", "short", "", "é" * 300 + " lengthy " * 40]
+    spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = {r.doc_id: r for r in queries.QUERIES["array_functions"](spark, str(tmp_path)).collect()}
+    for k, text in enumerate(texts):
+        words = text.split(" ")
+        assert got[k].n == len(set(text.lower().split(" "))) and got[k].letters == sum(map(len, words))
+        assert got[k].long_words == ",".join(sorted({w for w in words if len(w) > 6}))
