@@ -89,3 +89,14 @@ def test_array_functions(spark, tmp_path):
         words = text.split(" ")
         assert got[k].n == len(set(text.lower().split(" "))) and got[k].letters == sum(map(len, words))
         assert got[k].long_words == ",".join(sorted({w for w in words if len(w) > 6}))
+
+
+def test_blocking_loss_has_no_cap(spark, table, monkeypatch):
+    """The reference does not come from the capped join of all pairs."""
+
+    def capped(*_, **__):
+        raise ValueError("more rows than all pairs take")
+
+    monkeypatch.setattr(queries.whole_block, "all_pairs", capped)
+    n, k = len(brute(table[1], lambda *_: True)), len(brute(table[1], same_key))
+    assert tuple(queries.QUERIES["blocking_loss"](spark, table[0]).first()) == (n, k, n - k)
