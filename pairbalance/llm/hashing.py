@@ -5,10 +5,10 @@ from __future__ import annotations
 import numpy as np
 import xxhash
 
-from .pieces import Bounded
+from .common import Bounded
 
 GOLDEN = np.uint64(0x9E3779B97F4A7C15)
-CACHED_WORDS = 150_000
+CACHED_BYTES = 16 << 20
 
 
 def mix(x: np.ndarray) -> np.ndarray:
@@ -22,7 +22,7 @@ def mix(x: np.ndarray) -> np.ndarray:
 class WordHashes:
     """Hashes of words, cached."""
 
-    def __init__(self, most: int = CACHED_WORDS):
+    def __init__(self, most: int = CACHED_BYTES):
         self.known = Bounded(lambda w: xxhash.xxh3_64_intdigest(w), most)
 
     def __call__(self, words: list[str]) -> np.ndarray:

@@ -2,33 +2,36 @@
 
 Every word of letters gives its character n-grams of three to five, with word ends marked, and itself; each is
 hashed to a row of an embedding table. A text is the mean of its rows, and a linear layer with a softmax gives the
-languages. Both layers are fitted in numpy by stochastic gradient descent on segments of a bounded sample of
-rows; a temperature is then fitted on segments set aside, and the score below which a prediction counts as rejected
+languages. Both layers are fitted in numpy by stochastic gradient descent on a bounded sample: SAMPLE_ROWS rows, picked
+by a hash of their ids, and of each SEGMENTS_PER_ROW segments of SEGMENT_WORDS words, picked at random; a temperature is then fitted on segments set aside, and the score below which a prediction counts as rejected
 is the one that the surest ``1 - reject_share`` of the right predictions among them reach.
 
 As scores are linear before the softmax, a word's share is a sum over its subwords, kept in a bounded cache, so a
 whole text costs one look-up a word.
 
 Defined results: null, empty and letterless texts are ``und`` with score 0; without a labelled row all are; ties go
-to the language first in order; rows of repeated ids are judged each by its own text.
+to the language first in order; texts of any length are judged whole; rows of repeated ids are judged each by its own
+text; an empty table gives an empty result; other columns of the input are ignored, whatever their names.
 """
 
 from __future__ import annotations
 
 import re
 import uuid
+from sys import getsizeof
 
 import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import BooleanType, DoubleType, LongType, StringType, StructField, StructType
 
-from .common import filled, fold_of, map_columns, once_per_worker, sample_rows
+from .common import Bounded, filled, fold_of, map_columns, once_per_worker, sample_rows
 from .hashing import GOLDEN, mix, runs
 
 SAMPLE_ROWS = 3_000
 BITS = 15
 WIDTH = 16
+CACHED_BYTES = 32 << 20
 SEGMENT_WORDS = 40
 SEGMENTS_PER_ROW = 4
 HELD_OUT_FOLDS = 5
@@ -63,17 +66,17 @@ class Model:
         self.languages, self.table, self.bias, self.temperature, self.reject = languages, table, bias, temperature, reject
 
 
-def _segments(texts: list[str], rng: np.random.Generator) -> list[tuple[int, np.ndarray]]:
+def _segments(texts: list[str], rng: np.random.Generator, per_row: int) -> list[tuple[int, np.ndarray]]:
     out = []
     for k, text in enumerate(texts):
         words = WORD.findall(text.lower())
         starts = np.arange(0, len(words), SEGMENT_WORDS)
-        for s in rng.permutation(starts)[:SEGMENTS_PER_ROW]:
+        for s in rng.permutation(starts)[:per_row]:
             out.append((k, subwords(words[s : s + SEGMENT_WORDS])[0]))
     return out
 
 
-def fit(examples: list[tuple[str, str]], epochs: int = 4, rate: float = 0.5, batch: int = 16, reject_share: float = 0.01) -> Model:
+def fit(examples: list[tuple[str, str]], epochs: int = 4, rate: float = 0.5, batch: int = 16, reject_share: float = 0.01, segments_per_row: int = SEGMENTS_PER_ROW) -> Model:
     """Fit both layers, then the temperature and the rejection score on a tenth of the rows set aside."""
     languages = sorted({lang for _, lang in examples})
     rng = np.random.default_rng(11)
@@ -81,7 +84,7 @@ def fit(examples: list[tuple[str, str]], epochs: int = 4, rate: float = 0.5, bat
     if not languages:
         return Model([], np.zeros((size, 0), np.float32), np.zeros(0), 1.0, 0.0)
     label = {lang: i for i, lang in enumerate(languages)}
-    segments = _segments([t for t, _ in examples], rng)
+    segments = _segments([t for t, _ in examples], rng, segments_per_row)
     y = np.array([label[examples[k][1]] for k, _ in segments], np.int64)
     aside = np.array([k % 10 == 0 for k, _ in segments], bool)
     if aside.all() or not aside.any():
@@ -131,17 +134,17 @@ def _calibrate(logits: np.ndarray, y: np.ndarray, share: float) -> tuple[float,
 
 
 class Predictor:
-    """Predicts in a worker with a broadcast model; word sums are rows of a table that starts afresh when full."""
+    """Predicts in a worker with a broadcast model; word sums are rows of a table that starts afresh after so many bytes."""
 
-    def __init__(self, model: Model, most: int = 300_000):
-        self.model, self.most = model, most
+    def __init__(self, model: Model, most: int = CACHED_BYTES):
+        self.model, self.most, self.held = model, most, 0
+        self.row = Bounded.ENTRY + 8 * (len(model.languages) + 1)
         self.at: dict[str, int] = {}
         self.sums = np.zeros((1024, len(model.languages) + 1))
 
     def _learn(self, words: list[str]) -> None:
         """Sums of words that have none yet."""
-        if len(self.at) + len(words) > self.most:
-            self.at.clear()
+        self.held += sum(map(getsizeof, words)) + self.row * len(words)
         first = len(self.at)
         while first + len(words) > len(self.sums):
             self.sums = np.vstack([self.sums, np.zeros_like(self.sums)])
@@ -155,10 +158,10 @@ class Predictor:
         if not self.model.languages:
             return [(UNKNOWN, 0.0, True)] * len(texts)
         wanted = {w for words in split for w in words}
-        fresh = sorted(wanted - self.at.keys())
-        if fresh:
-            if len(self.at) + len(fresh) > self.most:  # _learn() starts afresh
-                fresh = sorted(wanted)
+        if self.held > self.most:
+            self.at.clear()
+            self.sums, self.held = self.sums[:1024].copy(), 0
+        if fresh := sorted(wanted - self.at.keys()):
             self._learn(fresh)
         at, out = self.at.__getitem__, []
         for words in split:
@@ -189,8 +192,7 @@ def identify(docs: DataFrame, most: int = SAMPLE_ROWS, id_column: str = "doc_id"
 
     def run(columns: list) -> list:
         predict = once_per_worker(key, lambda: Predictor(model.value))
-        texts = columns[2].to_pylist()
-        found = [x for i in range(0, len(texts), 400) for x in predict(texts[i : i + 400])]
+        found = predict(columns[2].to_pylist())
         return [columns[0], columns[1], *map(list, zip(*found, strict=True))]
 
     rows = docs.select(F.col(id_column).cast("long"), fold_of(id_column, HELD_OUT_FOLDS) == 0, filled(text_column))

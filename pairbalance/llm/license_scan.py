@@ -9,8 +9,9 @@ The base phrases keep their labels whether or not another detection covers them.
 
 The score is d / (d + 1) for d detections left.
 
-Defined results: null counts as empty; without a detection labels are empty strings and the score is 0; repeated rows
-are scanned each; an empty table gives an empty result.
+Defined results: null counts as empty; without a detection labels are empty strings and the score is 0; texts of any
+length are scanned whole; repeated rows are scanned each; an empty table gives an empty result; other columns of the
+input are ignored, whatever their names.
 """
 
 from __future__ import annotations

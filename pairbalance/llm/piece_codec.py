@@ -8,7 +8,9 @@ then read backwards from the end of the table, in time linear in the text howeve
 Two pieces stand side by side when merging their joined text would give just these two. The test undoes
 the merges of both, latest first, and looks at each pair of pieces that met at the border.
 
-Defined results: null counts as empty; an empty text has the end id alone and decodes to an empty text.
+Defined results: null counts as empty; an empty text has the end id alone and decodes to an empty text; texts of any
+length are encoded whole; repeated rows are encoded each; an empty table gives an empty result; other columns of the
+input are ignored, whatever their names.
 """
 
 from __future__ import annotations
@@ -20,11 +22,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import LongType, StringType, StructField, StructType
 
-from .common import filled, map_columns
-from .pieces import MARK, Bounded, Pieces, model_bytes, per_worker, pretokens
+from .common import Bounded, filled, map_columns
+from .pieces import MARK, Pieces, model_bytes, per_worker, pretokens
 
-CACHED_WORDS = 250_000
-CACHED_PAIRS = 200_000
+#: Bytes of a half of each cache.
+CACHED_WORDS = 24 << 20
+CACHED_PAIRS = 16 << 20
 
 
 class PrefixEncoder:
@@ -72,8 +75,8 @@ class PrefixEncoder:
                 if rank[piece] not in v.shared and all(x in self.plain and (len(v.text[x]) == 1 or rank[x] < rank[piece]) for x in halves):
                     self.plain.add(piece)
 
-    def _fits(self, pair: tuple[int, int]) -> bool:
-        a, b = pair
+    def _fits(self, pair: int) -> bool:
+        a, b = pair >> 32, pair & 0xFFFFFFFF
         v = self.vocabulary
         text, rank = v.text, v.rank
         if a not in self.plain or b not in self.plain:
@@ -102,7 +105,7 @@ class PrefixEncoder:
         for end, (size, piece) in self.automaton.iter(word):
             if last[end] is None:
                 start = end - size
-                if start < 0 or type(before := last[start]) is not tuple or fits[before[1], piece]:
+                if start < 0 or type(before := last[start]) is not tuple or fits[before[1] << 32 | piece]:
                     last[end] = (size, piece)
         out: list[int] = []
         end = n - 1

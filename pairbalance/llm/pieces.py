@@ -70,25 +70,6 @@ def pretokens(text: str) -> list[str]:
     return [x for x in marked.replace(MARK, f" {MARK}").replace("\n", " \n ").split(" ") if x]
 
 
-class Bounded(dict):
-    """A cache that computes what it lacks. When it is full it becomes the old half, which is still asked, and the old
-    half goes; so it holds at most twice ``most`` entries, and frequent ones stay."""
-
-    def __init__(self, make, most: int):
-        super().__init__()
-        self.make, self.most, self.old = make, most, {}
-
-    def __missing__(self, key):
-        if len(self) >= self.most:
-            self.old = dict(self)
-            self.clear()
-        value = self.old.get(key)
-        if value is None:
-            value = self.make(key)
-        self[key] = value
-        return value
-
-
 def per_worker(kind, model: bytes):
     """One instance of kind(model) in each Python worker, kept from task to task."""
     return once_per_worker(f"{kind.__name__}-{hash(model)}", lambda: kind(model))

@@ -8,7 +8,8 @@ The model is fitted on the driver on at most ``most`` labelled rows, picked by a
 rows outside the held-out fold. Labels, language, source and id are never inputs of a score.
 
 Defined results: null counts as empty; an empty text has the score of the bias alone; with no labelled row every
-score is 0.5; rows of repeated ids are scored each by its own text.
+score is 0.5; texts of any length are scored whole; rows of repeated ids are scored each by its own text; an empty table
+gives an empty result; other columns of the input are ignored, or pass through keep_good(), whatever their names.
 """
 
 from __future__ import annotations
@@ -22,9 +23,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType, LongType, StructField, StructType
 
-from .common import filled, filter_rows, fold_of, map_columns, once_per_worker, sample_rows
-from .hashing import GOLDEN, mix, runs
-from .pieces import Bounded
+from .common import Bounded, filled, filter_rows, fold_of, map_columns, once_per_worker, sample_rows
+from .hashing import CACHED_BYTES, GOLDEN, mix, runs
 
 SAMPLE_ROWS = 8_000
 BITS = 18
@@ -50,7 +50,7 @@ class Featurizer:
 
     def __init__(self, bits: int = BITS):
         self.mask = np.uint64((1 << bits) - 1)
-        self.known = Bounded(_packed, 150_000)
+        self.known = Bounded(_packed, CACHED_BYTES)
 
     def __call__(self, text: str) -> np.ndarray:
         tokens = TOKEN.findall(text)

@@ -7,22 +7,24 @@ pairs beside a merge are looked up again. When no sequence has a pair left, the
 Merging equal pairs at once equals merging them one by one from the left unless a fresh pair has a lower rank
 than the one just merged, or the rank is shared by different pieces; such sequences are finished one by one.
 
-Defined results: null counts as empty with no bytes and no tokens.
+Defined results: null counts as empty with no bytes and no tokens; texts of any length are counted whole; repeated rows
+are counted each; an empty table gives an empty result; other columns of the input are ignored, whatever their names.
 """
 
 from __future__ import annotations
 
 import heapq
+from sys import getsizeof
 
 import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import LongType, StructField, StructType
 
-from .common import filled, map_columns
+from .common import Bounded, filled, map_columns
 from .pieces import Pieces, model_bytes, per_worker, pretokens
 
-CACHED_WORDS = 400_000
+CACHED_WORDS = 32 << 20  # bytes
 LIMIT = 4096
 NONE = np.iinfo(np.int64).max
 
@@ -42,6 +44,7 @@ class RankMerger:
         self.ranks = np.array([x[1] for x in pairs], np.int64)
         self.joined = np.array([x[2] for x in pairs], np.int64)
         self.counts: dict[str, int] = {}
+        self.held = 0
 
     def look_up(self, left: np.ndarray, right: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Rank and piece of each pair; NONE where there is no such piece or a symbol is no piece (-1)."""
@@ -148,9 +151,11 @@ class RankMerger:
         """Tokens of each text."""
         split = [pretokens(t) for t in texts]
         known = self.counts
-        if len(known) > CACHED_WORDS:
+        if self.held > CACHED_WORDS:
             known.clear()
+            self.held = 0
         fresh = list({w for words in split for w in words if w not in known})
+        self.held += sum(getsizeof(w) + Bounded.ENTRY for w in fresh)
         for i in range(0, len(fresh), 20_000):
             part = fresh[i : i + 20_000]
             known.update(zip(part, self.count(part), strict=True))
@@ -166,11 +171,7 @@ def count_tokens(docs: DataFrame, id_column: str = "doc_id", text_column: str =
 
     def run(columns: list) -> list:
         merger = per_worker(RankMerger, model)
-        texts = columns[2].to_pylist()
-        counts = []
-        for i in range(0, len(texts), 500):
-            counts += merger.totals(texts[i : i + 500])
-        return [columns[0], columns[1], counts]
+        return [columns[0], columns[1], merger.totals(columns[2].to_pylist())]
 
     text = filled(text_column)
     out = map_columns(docs.select(F.col(id_column).cast("long"), F.octet_length(text).cast("long"), text), COUNTS, run)
