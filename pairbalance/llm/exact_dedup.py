@@ -6,8 +6,9 @@ counted exactly, and the winners (at most ``counters`` rows) are broadcast, so t
 are settled where they are read. The other digests, none of which is frequent, are shuffled as usual.
 
 Defined results: a null text is the empty text; of rows that tie in length the smallest id stays;
-repeated rows of the winning id all count as kept; null ids lose against any other id; an empty table
-gives an empty result; other columns of the input are ignored.
+repeated rows of the winning id all count as kept; an id may have several texts, each of which belongs to its own
+group; null ids lose against any other id; texts of any length are read whole; an empty table gives an empty result;
+other columns of the input are ignored, whatever their names.
 """
 
 from __future__ import annotations
@@ -16,7 +17,7 @@ from collections.abc import Iterator
 
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import cut, filled
@@ -39,12 +40,17 @@ class FrequentItems:
             self.held = {k: v - cutoff for k, v in held.items() if v > cutoff}
 
 
+def digest_of(text: Column) -> Column:
+    """SHA-256 of the text without ASCII white space."""
+    return F.unhex(F.sha2(F.regexp_replace(text, r"[ \t-\r]+", ""), 256))
+
+
 def digests(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text") -> DataFrame:
     """(id, digest, points): SHA-256 of the text without ASCII white space, and the text's code points."""
     text = filled(text_column)
     return docs.select(
         F.col(id_column).alias("id"),
-        F.unhex(F.sha2(F.regexp_replace(text, r"[ \t-\r]+", ""), 256)).alias("digest"),
+        digest_of(text).alias("digest"),
         F.length(text).alias("points"),
     )
 
@@ -96,7 +102,9 @@ def exact_groups(docs: DataFrame, id_column: str = "doc_id", text_column: str =
 
 
 def deduplicate(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", counters: int = COUNTERS) -> DataFrame:
-    """The rows of docs whose id wins its group, with all their columns; rows that repeat a winning id all stay."""
+    """The rows of docs whose id wins the group of their text, with all their columns. Rows are told apart by id and
+    digest: of two texts under one id, one may go and the other stay."""
     lost = groups(docs, id_column, text_column, counters).where(~F.col("id").eqNullSafe(F.col("keep_id")))
-    lost = lost.select(F.col("id").alias("__lost")).distinct()
-    return docs.join(lost, docs[id_column].eqNullSafe(F.col("__lost")), "left_anti")
+    lost = lost.select(F.col("id").alias("__lost"), F.col("digest").alias("__digest")).distinct()
+    same = docs[id_column].eqNullSafe(F.col("__lost")) & (digest_of(filled(docs[text_column])) == F.col("__digest"))
+    return docs.join(lost, same, "left_anti")
