@@ -8,7 +8,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut
+from .common import cut, discard
+from .dealt import beside
 
 LINKS = "a long, b long"
 
@@ -61,23 +62,27 @@ def components(links: DataFrame) -> DataFrame:
 
     Union-find shortens the links of each task; then, round by round, every set hooks to the smallest set it
     is linked with, chains of hooks are halved until they end, and the links are renamed. The number of sets
-    that are left at least halves in a round. Nothing is collected.
+    that are left at least halves in a round. Nothing is collected, and a set of any size is dealt out over tasks.
     """
     links = cut(_forests(links).where("a <> b").distinct(), "links")
     labels = cut(links.select(F.col("a").alias("id")).union(links.select("b")).distinct().withColumn("component", F.col("id")), "labels")
     while not links.isEmpty():
         both = links.union(links.select("b", "a"))
         hooks = both.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("b")).toDF("set", "into")
-        hooks = cut(hooks, "hooks")
-        while True:
+        hooks = cut(hooks.withColumn("moved", F.lit(True)), "hooks")
+        while not hooks.where("moved").isEmpty():
             further = hooks.select(F.col("set").alias("into"), F.col("into").alias("next"))
-            jumped = hooks.join(further, "into").select("set", F.col("next").alias("into"), (F.col("next") != F.col("into")).alias("moved"))
-            jumped = cut(jumped, "hooks")
-            hooks = jumped.select("set", "into")
-            if jumped.where("moved").isEmpty():
-                break
-        labels = labels.join(hooks, F.col("component") == F.col("set"), "left").select("id", F.coalesce("into", "component").alias("component"))
-        labels = cut(labels, "labels")
-        renamed = links.join(hooks.toDF("a", "to_a"), "a").join(hooks.toDF("b", "to_b"), "b").select(F.col("to_a").alias("a"), F.col("to_b").alias("b"))
-        links = cut(renamed.where("a <> b").distinct(), "links")
+            jumped = beside(hooks.select("set", "into"), further, "into", "set")
+            jumped = cut(jumped.select("set", F.col("next").alias("into"), (F.col("next") != F.col("into")).alias("moved")), "hooks")
+            discard(hooks)
+            hooks = jumped
+        into = hooks.select("set", "into")
+        named = beside(labels, into.toDF("component", "into"), "component", "id", "left")
+        named = cut(named.select("id", F.coalesce("into", "component").alias("component")), "labels")
+        renamed = beside(beside(links, into.toDF("a", "to_a"), "a", "b"), into.toDF("b", "to_b"), "b", "a")
+        renamed = cut(renamed.select(F.col("to_a").alias("a"), F.col("to_b").alias("b")).where("a <> b").distinct(), "links")
+        for table in (labels, links, hooks):
+            discard(table)
+        labels, links = named, renamed
+    discard(links)
     return labels

@@ -5,7 +5,7 @@ offers j plus a random fraction to its place, and each place keeps the least off
 its places hold less than the next round can offer, so large sets take one or two rounds. The places of a signature
 are negatively correlated, which lowers the variance of the estimate.
 
-Documents of equal sets are one node. Bands of signature values give buckets. Documents meet their candidates in two
+Documents of equal sets are one numbered node. Bands of signature values give buckets. Documents meet their candidates in two
 ways, neither of which lists the pairs of a large group:
 
 1. stars: every member of a bucket is compared with the bucket's hub, the member that shares the largest buckets with
@@ -19,22 +19,24 @@ standard deviations below the threshold saves the comparison. With 40 bands of 4
 shares no band with a chance of 2.5e-7, and a more similar pair with less.
 
 Defined results: words are what ASCII white space separates after A-Z are lower-cased; null and wordless texts have
-an empty set and no link; texts of fewer than five words have their whole sequence as one shingle; rows repeated whole
-are copies of one another; an empty table gives an empty result.
+an empty set and no link; texts of fewer than five words have their whole sequence as one shingle; texts of any length
+are read whole; rows repeated whole, and rows of one id with different texts, are each judged by their text; null ids
+come after all others, so a group has a null id only where it has no other; an empty table gives an empty result; other
+columns of the input are ignored, whatever their names.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-
 import numpy as np
 import pyarrow as pa
 import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut, filled, once_per_worker
+from .common import cut, filled, once_per_worker, over_batches
 from .components import components
+from .dealt import KEY_ROWS, MOST_HOT, beside, join_dealt, join_salted, salts_of, small
+from .exact_dedup import frequent_digests
 from .hashing import GOLDEN, WordHashes, mix, runs
 
 WORDS = 5
@@ -45,10 +47,6 @@ MORE = 2  # further signatures, for estimates alone
 LIKELY = 0.75 - 4.5 * (0.75 * 0.25 / ((1 + MORE) * PLACES)) ** 0.5
 #: Leftovers of a bucket are compared in blocks of about this many rows on either side.
 BLOCK = 2_048
-#: Tables of ids or pairs up to this many rows (16 bytes each) are broadcast, larger ones are shuffled.
-BROADCAST_ROWS = 1_000_000
-#: Pairs of one hub that meet in a task.
-HUB_ROWS = 256
 CHUNK = 200_000
 EMPTY = np.uint32(0xFFFFFFFF)
 
@@ -97,9 +95,9 @@ def bands(signature: np.ndarray, count: int = BANDS) -> np.ndarray:
     return key.view(np.int64)
 
 
-def marks(sets: list[np.ndarray]) -> list[bytes]:
+def marks(sets: list[np.ndarray], first: np.ndarray) -> list[bytes]:
     """For estimates: two bytes of each place of the banded signature, then one byte of each place of the others."""
-    first = (signatures(sets) & np.uint32(0xFFFF)).astype(np.uint16)
+    first = (first & np.uint32(0xFFFF)).astype(np.uint16)
     others = [(signatures(sets, seed=k) & np.uint32(0xFF)).astype(np.uint8) for k in range(1, MORE + 1)]
     return [b"".join([x.tobytes() for x in row]) for row in zip(first, *others, strict=True)]
 
@@ -114,56 +112,54 @@ def _sets(texts: pa.Array) -> list[np.ndarray]:
     return [shingles(t, hashes) for t in texts.cast(pa.binary()).to_pylist()]
 
 
-def sketches(docs: DataFrame, id_column: str, text_column: str) -> DataFrame:
-    """(id, n, digest, bands) of every row; digest and bands are null for empty sets."""
+def place_of(text: Column) -> Column:
+    """A hash of the raw text: with the id it tells rows apart that share one of the two."""
+    return F.xxhash64(text)
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for whole in batches:
-            for at in range(0, whole.num_rows, 400):
-                batch = whole.slice(at, 400)
-                sets = _sets(batch.column(1))
-                keys = bands(signatures(sets))
-                full = [len(s) > 0 for s in sets]
-                digests = [xxhash.xxh3_128_digest(s.tobytes()) if s.size else None for s in sets]
-                lists = pa.array([k.tolist() if f else None for k, f in zip(keys, full, strict=True)], pa.list_(pa.int64()))
-                yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array(digests, pa.binary()), lists], ["id", "n", "digest", "bands"])
 
-    return docs.select(F.col(id_column).cast("long"), filled(text_column)).mapInArrow(run, "id long, n long, digest binary, bands array<long>")
+def sketches(docs: DataFrame, id_column: str, text_column: str) -> DataFrame:
+    """(id, place, n, digest, bands) of every row; digest and bands are null for empty sets."""
 
+    def sketch(batch: pa.RecordBatch) -> pa.RecordBatch:
+        sets = _sets(batch.column(2))
+        keys = bands(signatures(sets))
+        digests = [xxhash.xxh3_128_digest(s.tobytes()) if s.size else None for s in sets]
+        lists = pa.array([k.tolist() if s.size else None for k, s in zip(keys, sets, strict=True)], pa.list_(pa.int64()))
+        columns = [batch.column(0), batch.column(1), pa.array([s.size for s in sets], pa.int64()), pa.array(digests, pa.binary()), lists]
+        return pa.RecordBatch.from_arrays(columns, ["id", "place", "n", "digest", "bands"])
 
-def _small(df: DataFrame) -> DataFrame:
-    """df marked for broadcast where its rows have been counted and are few."""
-    return F.broadcast(df) if df.count() <= BROADCAST_ROWS else df
+    text = filled(text_column)
+    rows = docs.select(F.col(id_column).cast("long").alias("id"), place_of(text).alias("place"), text.alias("text"))
+    return over_batches(rows, "id long, place long, n long, digest binary, bands array<long>", sketch)
 
 
-def _full_sets(docs: DataFrame, ids: DataFrame, id_column: str, text_column: str) -> DataFrame:
-    """(id, n, signature, shingles) of the rows of some ids."""
+def _full_sets(docs: DataFrame, wanted: DataFrame, id_column: str, text_column: str) -> DataFrame:
+    """(node, n, keys, signature, shingles) of the rows (id, place, node) that stand for their nodes."""
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for whole in batches:
-            for at in range(0, whole.num_rows, 400):
-                batch = whole.slice(at, 400)
-                sets = _sets(batch.column(1))
-                yield pa.RecordBatch.from_arrays(
-                    [batch.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array(marks(sets), pa.binary()), pa.array([s.tobytes() for s in sets], pa.binary())], ["id", "n", "signature", "shingles"]
-                )
+    def full(batch: pa.RecordBatch) -> pa.RecordBatch:
+        sets = _sets(batch.column(1))
+        first = signatures(sets)
+        columns = [pa.array([s.size for s in sets], pa.int64()), *(pa.array(x, pa.binary()) for x in ([k.tobytes() for k in bands(first)], marks(sets, first), [s.tobytes() for s in sets]))]
+        return pa.RecordBatch.from_arrays([batch.column(0), *columns], ["node", "n", "keys", "signature", "shingles"])
 
-    rows = docs.select(F.col(id_column).cast("long").alias("id"), filled(text_column).alias("text"))
-    return rows.join(_small(ids), "id", "left_semi").mapInArrow(run, "id long, n long, signature binary, shingles binary")
+    text = filled(text_column)
+    rows = docs.select(F.col(id_column).cast("long").alias("id"), place_of(text).alias("place"), text.alias("text"))
+    # one of the rows that repeat both id and text
+    other = small(wanted.toDF("of_id", "of_place", "node"))
+    chosen = rows.join(other, rows["id"].eqNullSafe(F.col("of_id")) & (rows["place"] == F.col("of_place"))).select("node", "text")
+    return over_batches(chosen, "node long, n long, keys binary, signature binary, shingles binary", full)
 
 
 def _estimated(pairs: DataFrame) -> DataFrame:
     """(a, b, estimate) of the pairs (a, b, sa, sb) whose estimate is likely."""
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            if batch.num_rows:
-                (x, u), (y, v) = _mark_arrays(batch.column(2)), _mark_arrays(batch.column(3))
-                share = ((x == y).sum(axis=1) + (u == v).sum(axis=1)) / ((1 + MORE) * PLACES)
-                kept = batch.select(["a", "b"]).append_column("estimate", pa.array(share, pa.float64()))
-                yield kept.filter(pa.array(share >= LIKELY))
+    def estimate(batch: pa.RecordBatch) -> pa.RecordBatch:
+        (x, u), (y, v) = _mark_arrays(batch.column(2)), _mark_arrays(batch.column(3))
+        share = ((x == y).sum(axis=1) + (u == v).sum(axis=1)) / ((1 + MORE) * PLACES)
+        kept = batch.select(["a", "b"]).append_column("estimate", pa.array(share, pa.float64()))
+        return kept.filter(pa.array(share >= LIKELY))
 
-    return pairs.select("a", "b", "sa", "sb").mapInArrow(run, "a long, b long, estimate double")
+    return over_batches(pairs.select("a", "b", "sa", "sb"), "a long, b long, estimate double", estimate)
 
 
 def _block_pairs(key: tuple, table: pa.Table) -> pa.Table:
@@ -171,28 +167,28 @@ def _block_pairs(key: tuple, table: pa.Table) -> pa.Table:
     band, left, right = (key[i].as_py() for i in (1, 2, 3))
     ids, component, n, chunk = (table.column(c).to_numpy() for c in ("id", "component", "n", "chunk"))
     x, u = _mark_arrays(table.column("signature").combine_chunks())
+    keys = np.frombuffer(b"".join(table.column("keys").to_pylist()), np.int64).reshape(len(ids), BANDS)
     found = []
     first = np.flatnonzero(chunk == left)
     second = np.flatnonzero(chunk == right)
     for k, i in enumerate(first):
         others = second[k + 1 :] if left == right else second
         others = others[(component[others] != component[i]) & (100 * np.minimum(n[others], n[i]) >= 75 * np.maximum(n[others], n[i]))]
+        others = others[~(keys[others, :band] == keys[i, :band]).any(axis=1)]
         if not len(others):
             continue
-        equal = x[others] == x[i]
-        own = equal.reshape(len(others), BANDS, ROWS).all(axis=2).argmax(axis=1) == band
-        others, equal = others[own], equal[own]
-        share = (equal.sum(axis=1) + (u[others] == u[i]).sum(axis=1)) / ((1 + MORE) * PLACES)
+        share = ((x[others] == x[i]).sum(axis=1) + (u[others] == u[i]).sum(axis=1)) / ((1 + MORE) * PLACES)
         found += [(min(ids[i], j), max(ids[i], j)) for j in ids[others[share >= LIKELY]]]
     return pa.table([pa.array([int(p[i]) for p in found], pa.int64()) for i in (0, 1)], ["a", "b"])
 
 
 def _leftovers(open_members: DataFrame) -> DataFrame:
-    """Likely pairs (a, b) of different components that share a bucket; rows have key, band, size, id, component, n, signature."""
+    """Likely pairs (a, b) of different components that share a bucket; rows have key, band, size, id, component, n, keys
+    and signature."""
     chunks = F.ceil(F.col("size") / BLOCK).cast("int")
     rows = open_members.withColumn("chunk", F.pmod(F.xxhash64("id"), chunks).cast("int"))
     blocks = F.transform(F.sequence(F.lit(0), chunks - 1), lambda o: F.struct(F.least(o, F.col("chunk")).alias("left"), F.greatest(o, F.col("chunk")).alias("right")))
-    rows = rows.withColumn("block", F.explode(blocks)).select("key", "band", "block.left", "block.right", "id", "component", "n", "chunk", "signature")
+    rows = rows.withColumn("block", F.explode(blocks)).select("key", "band", "block.left", "block.right", "id", "component", "n", "chunk", "keys", "signature")
     return rows.groupBy("key", "band", "left", "right").applyInArrow(_block_pairs, "a long, b long").distinct()
 
 
@@ -202,63 +198,92 @@ def near_sizes(a: Column, b: Column) -> Column:
 
 
 def _confirmed(pairs: DataFrame, full: DataFrame) -> DataFrame:
-    """The pairs (a, b) whose full sets are similar enough. A hub b of many pairs is dealt out over salts, each with a
-    copy of its set, so no task gets more than about HUB_ROWS pairs of one hub."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            keep = []
-            for x, y in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True):
-                x, y = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
-                common = len(np.intersect1d(x, y, assume_unique=True))
-                keep.append(100 * common >= 75 * (len(x) + len(y) - common))
-            yield batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
-
-    sets = full.select(F.col("id"), "shingles")
-    salts = pairs.groupBy("b").agg(F.ceil(F.count("*") / HUB_ROWS).cast("int").alias("salts"))
-    salted = pairs.join(salts, "b").select("a", "b", F.pmod(F.xxhash64("a"), "salts").cast("int").alias("salt"))
-    hubs = sets.join(_small(salts.withColumnRenamed("b", "id")), "id")
-    hubs = hubs.select(F.col("id").alias("b"), F.explode(F.sequence(F.lit(0), F.col("salts") - 1)).alias("salt"), F.col("shingles").alias("y"))
-    left = sets.toDF("a", "x").join(_small(salted), "a").select("a", "b", "salt", "x")
-    return left.join(hubs, ["b", "salt"]).select("a", "b", "x", "y").mapInArrow(run, "a long, b long")
+    """The pairs (a, b) whose full sets are similar enough."""
+
+    def confirm(batch: pa.RecordBatch) -> pa.RecordBatch:
+        keep = []
+        for x, y in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True):
+            x, y = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
+            common = len(np.intersect1d(x, y, assume_unique=True))
+            keep.append(100 * common >= 75 * (len(x) + len(y) - common))
+        return batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
+
+    return over_batches(_with_both(pairs, full.select("node", "shingles"), ("x", "y")), "a long, b long", confirm)
+
+
+def _with_both(pairs: DataFrame, sets: DataFrame, names: tuple[str, ...]) -> DataFrame:
+    """pairs (a, b) with the columns of both nodes. A node of many pairs is dealt out, each part with a copy of its row."""
+    half = len(names) // 2
+    left = join_dealt(pairs, sets.toDF("a", *names[:half]), "a", "b")
+    right = sets.join(small(pairs.select(F.col("b").alias("node")).distinct()), "node", "left_semi").toDF("b", *names[half:])
+    return join_dealt(left, right, "b", "a", counted=pairs).select("a", "b", *names)
 
 
 def _compared(pairs: DataFrame, full: DataFrame) -> DataFrame:
     """Pairs (a, b) with a likely estimate."""
-    marks = full.select("id", "n", "signature")
-    joined = pairs.join(marks.toDF("a", "na", "sa"), "a").join(marks.toDF("b", "nb", "sb"), "b").where(near_sizes(F.col("na"), F.col("nb")))
-    return _estimated(joined)
+    met = _with_both(pairs, full.select("node", "n", "signature"), ("na", "sa", "nb", "sb"))
+    return _estimated(met.where(near_sizes(F.col("na"), F.col("nb"))))
 
 
-def groups(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text") -> DataFrame:
-    """(id, n, component) of every row of docs."""
-    rows = cut(sketches(docs, id_column, text_column), "sketches")
-    nodes = rows.where("digest IS NOT NULL").groupBy("digest").agg(F.min("id").alias("node"), F.any_value("bands").alias("bands"))
-    nodes = cut(nodes, "nodes")
+def _nodes(rows: DataFrame) -> DataFrame:
+    """(node, id, place, digest, bands) of every distinct set, written: nodes are numbered, and the row of smallest id
+    stands for its set. Null ids come last."""
+    first = F.min(F.struct(F.col("id").isNull().alias("none"), "id", "place")).alias("first")
+    sets = rows.where("digest IS NOT NULL").groupBy("digest").agg(first, F.any_value("bands").alias("bands"))
+    return cut(sets.select(F.monotonically_increasing_id().alias("node"), "first.id", "first.place", "digest", "bands"), "nodes")
+
+
+def _node_labels(docs: DataFrame, nodes: DataFrame, id_column: str, text_column: str) -> DataFrame:
+    """(id, component) of the nodes that have a link."""
     # the members of buckets of two or more
     keyed = nodes.select(F.col("node").alias("id"), F.posexplode("bands").alias("band", "key"))
-    shared = keyed.groupBy("key").agg(F.count("*").alias("size")).where("size > 1")
-    members = cut(keyed.join(shared, "key"), "members")
-    full = cut(_full_sets(docs, members.select("id").distinct(), id_column, text_column), "sets").dropDuplicates(["id"])
+    shared = cut(keyed.groupBy("key").agg(F.count("*").alias("size")).where("size > 1"), "buckets")
+    hot = F.broadcast(shared.where(F.col("size") > (rows := max(KEY_ROWS, nodes.count() * BANDS // MOST_HOT))).select("key", salts_of(F.col("size"), rows).alias("salts")))
+    members = join_salted(keyed.join(hot, "key", "left"), shared, "key", "id", F.coalesce("salts", F.lit(1)), F.when(F.col("size") > rows, salts_of(F.col("size"), rows)).otherwise(1))
+    members = cut(members.select("key", "band", "size", "id"), "members")
+    salts = salts_of(F.col("size"))
+
+    def of_bucket(left: DataFrame, right: DataFrame) -> DataFrame:
+        """left with the row of right of its bucket."""
+        return join_salted(left, right.withColumnRenamed("size", "its_size"), "key", "id", salts, salts_of(F.col("its_size"))).drop("its_size")
+
+    wanted = nodes.join(members.select(F.col("id").alias("node")).distinct(), "node", "left_semi").select("id", "place", "node")
+    full = cut(_full_sets(docs, wanted, id_column, text_column), "sets").dropDuplicates(["node"])
     # stars
     central = members.groupBy("id").agg(F.sum("size").alias("weight"))
-    hubs = members.join(central, "id").groupBy("key").agg(F.max_by("id", F.struct("weight", F.xxhash64("id"))).alias("hub"))
-    spokes = members.join(hubs, "key").where("id <> hub").select(F.col("id").alias("a"), F.col("hub").alias("b")).distinct()
+    hubs = members.join(central, "id").groupBy("key").agg(F.max_by("id", F.struct("weight", F.xxhash64("id"))).alias("hub"), F.first("size").alias("size"))
+    spokes = cut(of_bucket(members, hubs).where("id <> hub").select(F.col("id").alias("a"), F.col("hub").alias("b")).distinct(), "spokes")
     tried = cut(_compared(spokes, full).groupBy("a").agg(F.max_by("b", "estimate").alias("b")), "stars")
     links = cut(_confirmed(tried, full), "links")
     labels = components(links)
     # leftovers
     named = members.join(labels, "id", "left").select("key", "band", "size", "id", F.coalesce("component", "id").alias("component"))
-    mixed = named.groupBy("key").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low <> high").select("key")
-    open_members = named.join(mixed, "key", "left_semi").join(full.select("id", "n", "signature"), "id")
+    named = cut(named, "named")
+    mixed = named.groupBy("key").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.first("size").alias("size")).where("low <> high").select("key", "size")
+    open_members = of_bucket(named, mixed).join(full.select(F.col("node").alias("id"), "n", "keys", "signature"), "id")
     failed = tried.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
     rest = cut(_leftovers(open_members).join(failed, ["a", "b"], "left_anti"), "rest")
     more = cut(_confirmed(rest, full), "links")
-    if not more.isEmpty():
-        labels = components(links.union(more))
-    found = rows.select("id", "n", "digest").join(nodes.select("digest", "node"), "digest", "left")
-    found = found.join(labels.toDF("node", "component"), "node", "left")
-    return found.select("id", "n", F.coalesce("component", "node", "id").alias("component"))
+    return labels if more.isEmpty() else components(links.union(more))
+
+
+def groups(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text") -> DataFrame:
+    """(id, place, n, component) of every row of docs; component is the smallest id of the group."""
+    rows = cut(sketches(docs, id_column, text_column), "sketches")
+    nodes = _nodes(rows)
+    labels = _node_labels(docs, nodes, id_column, text_column)
+    linked = nodes.select(F.col("node").alias("id"), F.col("id").alias("low")).join(labels, "id")
+    lowest = cut(linked.groupBy("component").agg(F.min("low").alias("low")), "lowest")
+    labels = beside(labels, lowest, "component", "id").select(F.col("id").alias("node"), "low")
+    named = cut(nodes.select("node", "id", "digest").join(labels, "node", "left").select("digest", F.coalesce("low", "id").alias("component")), "named")
+    # rows of the most frequent sets are settled where they are read
+    hot = F.broadcast(cut(frequent_digests(rows.where("digest IS NOT NULL")), "frequent"))
+    rows = rows.select("id", "place", "n", "digest")
+    heavy = rows.join(F.broadcast(named.join(hot, "digest", "left_semi")), "digest")
+    rest = rows.where("digest IS NOT NULL").join(hot, "digest", "left_anti").join(named, "digest")
+    empty = rows.where("digest IS NULL").withColumn("component", F.col("id"))
+    out = ["id", "place", "n", "component"]
+    return heavy.select(*out).unionByName(rest.select(*out)).unionByName(empty.select(*out))
 
 
 def near_duplicates(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text") -> DataFrame:
@@ -269,6 +294,8 @@ def near_duplicates(docs: DataFrame, id_column: str = "doc_id", text_column: str
 
 
 def one_of_each(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text") -> DataFrame:
-    """The rows of docs that have the smallest id of their group, with all their columns."""
-    lost = groups(docs, id_column, text_column).where(~F.col("id").eqNullSafe(F.col("component"))).select(F.col("id").alias("__lost")).distinct()
-    return docs.join(lost, docs[id_column].eqNullSafe(F.col("__lost")), "left_anti")
+    """The rows of docs that have the smallest id of their group, with all their columns. Rows are told apart by id and
+    text: of two texts under one id, one may go and the other stay."""
+    lost = groups(docs, id_column, text_column).where(~F.col("id").eqNullSafe(F.col("component"))).select(F.col("id").alias("__lost"), F.col("place").alias("__place")).distinct()
+    same = docs[id_column].cast("long").eqNullSafe(F.col("__lost")) & (place_of(filled(docs[text_column])) == F.col("__place"))
+    return docs.join(lost, same, "left_anti")

@@ -8,7 +8,7 @@ import re
 import duckdb
 import pytest
 
-from pairbalance.llm import components, decontaminate, exact_dedup, minhash, queries
+from pairbalance.llm import components, dealt, decontaminate, exact_dedup, minhash, queries
 
 SF = "/root/testdata/sf0.001"
 
@@ -97,7 +97,8 @@ def test_near_duplicates(spark, odd):
 def test_near_duplicates_in_small_blocks(spark, monkeypatch):
     """With tiny blocks, chunks of a bucket meet each other, and nothing is lost."""
     monkeypatch.setattr(minhash, "BLOCK", 4)
-    monkeypatch.setattr(minhash, "BROADCAST_ROWS", 0)
+    monkeypatch.setattr(dealt, "BROADCAST_ROWS", 0)
+    monkeypatch.setattr(dealt, "KEY_ROWS", 3)
     rng = random.Random(8)
     base = [f"w{i}" for i in range(80)]
     made = [(i, edited(rng, base, rng.choice([0.01, 0.02, 0.04]))) for i in range(90)]
