@@ -13,12 +13,14 @@ Only windows that can match are embedded: an item of n words with k edits keeps
 ceil((n - k) / (k + 1)) of its words, so each window starts where such a run of words of an item would place it, and
 up to k words to either side. This leaves no passage out.
 
-Words are runs of letters and digits of the lower-case text. The benchmark travels to the tasks in blocks of at most
-``block_items`` items, one pass over the documents for each block.
-
-Defined results: null and empty texts and items hold nothing; equal items are each reported; for each document
-and item the least distance and the first place where such a passage ends; an empty table on either side gives an
-empty result.
+Words are runs of letters and digits of the lower-case text. The benchmark travels to the tasks in blocks of about
+``block_items`` items or BLOCK_BYTES of text, one pass over the documents for each block; with several blocks each pass
+is written before the next block is fetched.
+
+Defined results: null and empty texts and items hold nothing; equal items are each reported, an item without an id with
+a null one; for each document and item the least distance and the first place where such a passage ends; texts of any
+length are searched whole; repeated rows are searched each; an empty benchmark finds nothing, and empty documents give
+an empty result; other columns pass through or are ignored, whatever their names.
 """
 
 from __future__ import annotations
@@ -30,10 +32,11 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import Broadcast
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import filled, once_per_worker
+from .common import cut, filled, filter_rows, once_per_worker, over_batches
 from .hashing import GOLDEN, mix, runs
 
 WORD = re.compile(r"[^\W_]+")
@@ -41,6 +44,7 @@ SHARE = 0.2
 SAMPLED = 3
 RECALL, DIFFERING = 0.99, 0.5
 BLOCK_ITEMS = 20_000
+BLOCK_BYTES = 32 << 20
 LONGEST_RUN = 4
 
 
@@ -202,44 +206,47 @@ class Benchmark:
 HITS = "doc_id long, item_id long, distance long, end_word long, item_words long"
 
 
-def _blocks(benchmark: DataFrame, item_column: str, text_column: str, most: int) -> Iterator[tuple[str, object]]:
-    """A key and the broadcast items of each block; blocks are made by a hash of the item's text."""
+def _blocks(benchmark: DataFrame, item_column: str, text_column: str, most: int) -> Iterator[tuple[str, Broadcast, bool]]:
+    """A key, the broadcast items of a block, and whether it is the only one; blocks are made by a hash of the item.
+    A block is fetched when the one before has been used and destroyed, so the driver holds one at a time."""
     rows = benchmark.select(F.col(item_column).cast("long").alias("id"), filled(text_column).alias("text"))
-    count = max(1, math.ceil(rows.count() / most))
+    n, size = rows.agg(F.count("*"), F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()
+    count = max(1, math.ceil(n / most), math.ceil(size / BLOCK_BYTES))
     for b in range(count):
         part = rows if count == 1 else rows.where(F.pmod(F.xxhash64("id", "text"), F.lit(count)) == b)
-        items = sorted((r.id if r.id is not None else -1, r.text) for r in part.collect())
-        yield f"benchmark-{uuid.uuid4().hex}", benchmark.sparkSession.sparkContext.broadcast(items)
+        items = sorted(((r.id, r.text) for r in part.collect()), key=lambda x: (x[0] is None, x[0] or 0, x[1]))
+        yield f"benchmark-{uuid.uuid4().hex}", benchmark.sparkSession.sparkContext.broadcast(items), count == 1
 
 
 def contaminated(docs: DataFrame, benchmark: DataFrame, id_column: str = "doc_id", text_column: str = "text", item_column: str = "item_id", item_text: str = "text", block_items: int = BLOCK_ITEMS, share: float = SHARE) -> DataFrame:
     """One row for each document and item it holds: doc_id, item_id, distance, end_word, item_words."""
     rows = docs.select(F.col(id_column).cast("long"), filled(text_column))
     out = None
-    for key, items in _blocks(benchmark, item_column, item_text, block_items):
+    for key, items, alone in _blocks(benchmark, item_column, item_text, block_items):
 
-        def run(batches: Iterator[pa.RecordBatch], key: str = key, items=items) -> Iterator[pa.RecordBatch]:
-            known = once_per_worker(key, lambda: Benchmark(items.value, share))
-            for batch in batches:
-                found = known.hits(batch.column(1).to_pylist())
-                flat = [(d, *hit) for d, hits in zip(batch.column(0).to_pylist(), found, strict=True) for hit in hits]
-                yield pa.RecordBatch.from_arrays([pa.array([f[i] for f in flat], pa.int64()) for i in range(5)], ["doc_id", "item_id", "distance", "end_word", "item_words"])
+        def find(batch: pa.RecordBatch, key: str = key, items: Broadcast = items) -> pa.RecordBatch:
+            found = once_per_worker(key, lambda: Benchmark(items.value, share)).hits(batch.column(1).to_pylist())
+            flat = [(d, *hit) for d, hits in zip(batch.column(0).to_pylist(), found, strict=True) for hit in hits]
+            return pa.RecordBatch.from_arrays([pa.array([f[i] for f in flat], pa.int64()) for i in range(5)], ["doc_id", "item_id", "distance", "end_word", "item_words"])
 
-        part = rows.mapInArrow(run, HITS)
+        part = over_batches(rows, HITS, find)
+        if not alone:
+            part = cut(part, "hits")
+            items.destroy()
         out = part if out is None else out.unionByName(part)
     return out
 
 
 def without_contaminated(docs: DataFrame, benchmark: DataFrame, text_column: str = "text", item_column: str = "item_id", item_text: str = "text", block_items: int = BLOCK_ITEMS, share: float = SHARE) -> DataFrame:
     """The rows of docs that hold no item, with all their columns."""
-    for key, items in _blocks(benchmark, item_column, item_text, block_items):
+    for key, items, alone in _blocks(benchmark, item_column, item_text, block_items):
 
-        def run(batches: Iterator[pa.RecordBatch], key: str = key, items=items) -> Iterator[pa.RecordBatch]:
+        def keep(batch: pa.RecordBatch, key: str = key, items: Broadcast = items) -> list[bool]:
             known = once_per_worker(key, lambda: Benchmark(items.value, share))
-            for batch in batches:
-                if batch.num_rows:
-                    found = known.hits(batch.column(text_column).to_pylist())
-                    yield batch.filter(pa.array([not f for f in found], pa.bool_()))
+            return [not found for found in known.hits(batch.column(text_column).to_pylist())]
 
-        docs = docs.mapInArrow(run, docs.schema)
+        docs = filter_rows(docs, keep)
+        if not alone:
+            docs = cut(docs, "clean")
+            items.destroy()
     return docs
