@@ -9,7 +9,8 @@ their regular expression. The first of the matching rules decides; without one t
 Everything is a native expression; the index is a literal map of at most one entry for each rule.
 
 Defined results: a null url, or one without ``://``, has an empty host and path and no prefix rule; a null url
-has no token, so it is allowed; repeated rows are judged each; an empty table gives an empty result.
+has no token, so it is allowed; urls of any length are judged whole; repeated rows are judged each; an empty table
+gives an empty result; other columns of the input are ignored, whatever their names.
 """
 
 from __future__ import annotations
@@ -30,7 +31,7 @@ PREFIX_RULES = [
     ("block", "com", "/de/"),
 ]
 
-_EDGE, _END = "(^|[^a-z0-9])", "([^a-z0-9]|$)"
+_EDGE, _END = "(^|[^a-z0-9])", r"([^a-z0-9]|\z)"
 
 
 def _rule(verdict: str, *tokens: str, gap: str = "[^a-z0-9]+") -> tuple[str, tuple[str, ...], str]:
@@ -42,8 +43,8 @@ def _rule(verdict: str, *tokens: str, gap: str = "[^a-z0-9]+") -> tuple[str, tup
 PATTERN_RULES = [
     ("allow", ("wiki",), r"://([a-z0-9-]+\.)*wiki[./]"),
     ("allow", ("docs",), r"://docs\.[a-z0-9.-]+/"),
-    ("allow", ("edu",), r"://[a-z0-9.-]+\.edu(/|$)"),
-    ("allow", ("gov",), r"://[a-z0-9.-]+\.gov(/|$)"),
+    ("allow", ("edu",), r"://[a-z0-9.-]+\.edu(/|\z)"),
+    ("allow", ("gov",), r"://[a-z0-9.-]+\.gov(/|\z)"),
     ("block", ("spam", "farm"), r"://([a-z0-9-]+\.)*spam-farm\."),
     ("block", ("cheap", "pills"), r"://([a-z0-9-]+\.)*cheap-pills\."),
     ("block", ("casino", "win"), r"://([a-z0-9-]+\.)*casino-win\."),
@@ -55,13 +56,13 @@ PATTERN_RULES = [
     *(_rule("block", a, b, gap="[-_./]") for a in ("adult", "xxx", "sex") for b in ("cam", "cams", "chat", "video", "videos", "dating")),
     ("block", ("adclick",), _EDGE + "adclick" + _END),
     ("block", ("doubleclick",), r"://([a-z0-9-]+\.)*doubleclick\."),
-    ("block", ("banner", "ads"), r"/banner[-_/]ads(/|$)"),
-    ("block", ("wp", "login", "php"), r"/wp-login\.php"),
+    ("block", ("banner", "ads"), r"/banner[-_/]ads(/|\z)"),
+    ("block", ("wp", "login", "php"), r"/wp-login\.php" + _END),
     ("block", ("cgi", "bin"), r"/cgi-bin/"),
     ("block", ("sessionid",), r"[?&;]sessionid="),
     ("block", ("phpsessid",), r"[?&;]phpsessid="),
     ("block", ("replytocom",), r"[?&]replytocom="),
-    *(("block", (x,), rf"\.{x}([?#]|$)") for x in ("exe", "apk", "dmg", "iso", "zip", "rar", "torrent")),
+    *(("block", (x,), rf"\.{x}([?#]|\z)") for x in ("exe", "apk", "dmg", "iso", "zip", "rar", "torrent")),
 ]
 
 
