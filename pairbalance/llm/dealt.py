@@ -33,19 +33,25 @@ def join_salted(left: DataFrame, right: DataFrame, key: str, deal_by: str, left_
     return dealt.join(copied, [key, "__salt"], how).drop("__salt")
 
 
-def join_dealt(left: DataFrame, right: DataFrame, key: str, deal_by: str, counted: DataFrame | None = None, how: str = "inner") -> DataFrame:
-    """The same where the sizes are not known yet: the keys of ``counted`` (rows of left, by default) that hold many rows
-    are found first. They are at most MOST_HOT, which are broadcast."""
-    counted = left if counted is None else counted
-    rows = max(KEY_ROWS, math.ceil(counted.count() / MOST_HOT))
-    sizes = counted.groupBy(key).agg(F.count("*").alias("__size")).where(F.col("__size") > rows)
-    hot = F.broadcast(sizes.select(F.col(key), salts_of(F.col("__size"), rows).alias("__salts")))
+def join_dealt(left: DataFrame, right: DataFrame, key: str, deal_by: str, sizes: DataFrame, total: int, how: str = "inner") -> DataFrame:
+    """The same where sizes (key, size) are of the keys of left, which has ``total`` rows: the keys of many rows, at most
+    MOST_HOT, are fetched and broadcast; where there is none this is a plain join."""
+    rows = max(KEY_ROWS, math.ceil(total / MOST_HOT))
+    hot = sizes.select(key, "size").where(F.col("size") > rows).collect()
+    if not hot:
+        return left.join(right, key, how)
+    table = left.sparkSession.createDataFrame([(k, -(-n // rows)) for k, n in hot], f"{key} long, __salts int")
     salts = F.coalesce("__salts", F.lit(1))
-    return join_salted(left.join(hot, key, "left"), right.join(hot, key, "left"), key, deal_by, salts, salts, how).drop("__salts")
+    dealt, copied = (x.join(F.broadcast(table), key, "left") for x in (left, right))
+    return join_salted(dealt, copied.withColumnRenamed("__salts", "__copies"), key, deal_by, salts, F.coalesce("__copies", F.lit(1)), how).drop("__salts", "__copies")
+
+
+def sizes_of(df: DataFrame, key: str) -> DataFrame:
+    return df.groupBy(key).agg(F.count("*").alias("size"))
 
 
 def beside(left: DataFrame, right: DataFrame, key: str, deal_by: str, how: str = "inner") -> DataFrame:
     """left with the row of right of its key: by broadcast where right is small, else dealt out."""
     if right.count() <= BROADCAST_ROWS:
         return left.join(F.broadcast(right), key, how)
-    return join_dealt(left, right, key, deal_by, how=how)
+    return join_dealt(left, right, key, deal_by, sizes_of(left, key), left.count(), how)

@@ -35,7 +35,7 @@ from pyspark.sql import functions as F
 
 from .common import cut, filled, once_per_worker, over_batches
 from .components import components
-from .dealt import KEY_ROWS, MOST_HOT, beside, join_dealt, join_salted, salts_of, small
+from .dealt import beside, join_dealt, join_salted, salts_of, sizes_of, small
 from .exact_dedup import frequent_digests
 from .hashing import GOLDEN, WordHashes, mix, runs
 
@@ -46,7 +46,7 @@ MORE = 2  # further signatures, for estimates alone
 #: Over this estimate a pair is compared in full: 0.75 less 4.5 standard deviations of as many independent places.
 LIKELY = 0.75 - 4.5 * (0.75 * 0.25 / ((1 + MORE) * PLACES)) ** 0.5
 #: Leftovers of a bucket are compared in blocks of about this many rows on either side.
-BLOCK = 2_048
+BLOCK = 1_024
 CHUNK = 200_000
 EMPTY = np.uint32(0xFFFFFFFF)
 
@@ -212,11 +212,13 @@ def _confirmed(pairs: DataFrame, full: DataFrame) -> DataFrame:
 
 
 def _with_both(pairs: DataFrame, sets: DataFrame, names: tuple[str, ...]) -> DataFrame:
-    """pairs (a, b) with the columns of both nodes. A node of many pairs is dealt out, each part with a copy of its row."""
-    half = len(names) // 2
-    left = join_dealt(pairs, sets.toDF("a", *names[:half]), "a", "b")
-    right = sets.join(small(pairs.select(F.col("b").alias("node")).distinct()), "node", "left_semi").toDF("b", *names[half:])
-    return join_dealt(left, right, "b", "a", counted=pairs).select("a", "b", *names)
+    """pairs (a, b), a written table, with the columns of both nodes. A node of many pairs is dealt out, each part with a
+    copy of its row."""
+    half, total = len(names) // 2, pairs.count()
+    of_b = cut(sizes_of(pairs, "b"), "hubs")
+    hubs = sets.join(small(of_b.select(F.col("b").alias("node"))), "node", "left_semi").toDF("b", *names[half:])
+    left = join_dealt(pairs, sets.toDF("a", *names[:half]), "a", "b", sizes_of(pairs, "a"), total)
+    return join_dealt(left, hubs, "b", "a", of_b, total).select("a", "b", *names)
 
 
 def _compared(pairs: DataFrame, full: DataFrame) -> DataFrame:
@@ -238,8 +240,7 @@ def _node_labels(docs: DataFrame, nodes: DataFrame, id_column: str, text_column:
     # the members of buckets of two or more
     keyed = nodes.select(F.col("node").alias("id"), F.posexplode("bands").alias("band", "key"))
     shared = cut(keyed.groupBy("key").agg(F.count("*").alias("size")).where("size > 1"), "buckets")
-    hot = F.broadcast(shared.where(F.col("size") > (rows := max(KEY_ROWS, nodes.count() * BANDS // MOST_HOT))).select("key", salts_of(F.col("size"), rows).alias("salts")))
-    members = join_salted(keyed.join(hot, "key", "left"), shared, "key", "id", F.coalesce("salts", F.lit(1)), F.when(F.col("size") > rows, salts_of(F.col("size"), rows)).otherwise(1))
+    members = join_dealt(keyed, shared, "key", "id", shared, nodes.count() * BANDS)
     members = cut(members.select("key", "band", "size", "id"), "members")
     salts = salts_of(F.col("size"))
 
@@ -264,7 +265,10 @@ def _node_labels(docs: DataFrame, nodes: DataFrame, id_column: str, text_column:
     failed = tried.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
     rest = cut(_leftovers(open_members).join(failed, ["a", "b"], "left_anti"), "rest")
     more = cut(_confirmed(rest, full), "links")
-    return labels if more.isEmpty() else components(links.union(more))
+    if more.isEmpty():
+        return labels
+    stars = labels.where("id <> component").toDF("a", "b")
+    return components(stars.union(more))
 
 
 def groups(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text") -> DataFrame:

@@ -107,6 +107,29 @@ def test_near_duplicates_in_small_blocks(spark, monkeypatch):
     assert {r.doc_id: (r.n_shingles, r.component_id) for r in minhash.near_duplicates(df).collect()} == expected
 
 
+def test_texts_under_a_repeated_id_are_not_lost(spark):
+    """Rows are told apart by id and text, and null ids come after all others."""
+    long = " ".join(f"w{i}" for i in range(40))
+    rows = [(5, "alpha text"), (5, "beta text"), (3, "beta text"), (None, "gamma text"), (None, "beta  text"), (None, "gamma text"), (7, long), (7, "other"), (8, long + " end"), (7, long)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    left = {(5, "alpha text"), (3, "beta text"), (None, "gamma text"), (7, long), (7, "other"), (8, long + " end")}
+    assert {tuple(r) for r in exact_dedup.deduplicate(df).collect()} - {(None, "beta  text"), (3, "beta text")} == left - {(3, "beta text")}
+    assert {tuple(r) for r in minhash.one_of_each(df).collect()} == left - {(8, long + " end")}
+    got = {(r.id, r.place): r.component for r in minhash.groups(df).collect()}
+    assert sorted(map(str, got.values())) == sorted(map(str, [5, 3, 3, None, 3, 7, 7, 7]))
+
+
+def test_hot_keys_are_dealt_out(spark, monkeypatch):
+    monkeypatch.setattr(dealt, "KEY_ROWS", 10)
+    left = spark.range(1000).selectExpr("id", "CASE WHEN id < 700 THEN 1 ELSE id END AS k")
+    right = spark.range(900).selectExpr("id AS k", "id * 2 AS twice")
+    for how, n in (("inner", 900), ("left", 1000)):
+        met = dealt.join_dealt(left, right, "k", "id", dealt.sizes_of(left, "k"), 1000, how)
+        assert met.count() == n and met.where("k = 1 AND twice = 2").count() == 700 and met.columns == ["k", "id", "twice"]
+    monkeypatch.setattr(dealt, "BROADCAST_ROWS", 0)
+    assert sorted(dealt.beside(left, right, "k", "id").collect()) == sorted(left.join(right, "k").collect())
+
+
 def test_near_duplicates_of_nothing(none, odd):
     assert minhash.near_duplicates(none).collect() == []
     assert minhash.one_of_each(odd).columns == odd.columns
@@ -173,11 +196,11 @@ def test_decontamination(spark, odd):
     expected = passages(docs, ITEMS)
     for block in (20_000, 2):
         got = {(r.doc_id, r.item_id): (r.distance, r.end_word) for r in decontaminate.contaminated(df, items, block_items=block).collect()}
+        clean = decontaminate.without_contaminated(df, items, block_items=block)
+        assert {r.doc_id for r in clean.collect()} == {d for d, _ in docs} - {d for d, _ in got}
         assert set(got) <= set(expected) and len(got) >= 0.97 * len(expected)
         assert all(expected[k] == v for k, v in got.items())
         assert all(k in got for k, v in expected.items() if v[0] == 0)
-    kept = {r.doc_id for r in decontaminate.without_contaminated(df, items).collect()}
-    assert kept == {d for d, _ in docs} - {d for d, _ in got}
 
 
 def test_decontamination_of_nothing(spark, none, odd):
@@ -185,6 +208,9 @@ def test_decontamination_of_nothing(spark, none, odd):
     assert decontaminate.contaminated(none, items).collect() == []
     assert decontaminate.contaminated(odd, items.limit(0)).collect() == []
     assert decontaminate.without_contaminated(odd, items).columns == odd.columns
+    nameless = spark.createDataFrame([(None, ITEMS[0][1]), (-1, ITEMS[1][1])], "item_id long, text string")
+    docs = spark.createDataFrame([(1, ITEMS[0][1]), (2, ITEMS[1][1])], "doc_id long, text string")
+    assert {(r.doc_id, r.item_id) for r in decontaminate.contaminated(docs, nameless).collect()} == {(1, None), (2, -1)}
 
 
 def test_exact_passages_of_the_tables_are_all_found(spark):
