@@ -30,7 +30,7 @@ def fold_of(id_column: str, folds: int) -> Column:
 
 
 def give_back() -> None:
-    """Hand memory that a Python worker no longer uses back to the system; workers live on from task to task."""
+    """Hand memory that Python no longer uses back to the system: workers live on from task to task, and the driver too."""
     gc.collect()
     pa.default_memory_pool().release_unused()
     trim = getattr(ctypes.CDLL(None), "malloc_trim", None)

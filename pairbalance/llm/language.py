@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import BooleanType, DoubleType, LongType, StringType, StructField, StructType
 
-from .common import Bounded, filled, fold_of, map_columns, once_per_worker, sample_rows
+from .common import Bounded, filled, fold_of, give_back, map_columns, once_per_worker, sample_rows
 from .hashing import GOLDEN, mix, runs
 
 SAMPLE_ROWS = 3_000
@@ -188,6 +188,7 @@ def training_sample(docs: DataFrame, most: int = SAMPLE_ROWS, id_column: str = "
 def identify(docs: DataFrame, most: int = SAMPLE_ROWS, id_column: str = "doc_id", text_column: str = "text", lang_column: str = "lang") -> DataFrame:
     """doc_id, held_out, lang_pred, score and rejected for every row of docs."""
     model = docs.sparkSession.sparkContext.broadcast(fit(training_sample(docs, most, id_column, text_column, lang_column)))
+    give_back()
     key = f"language-{uuid.uuid4().hex}"
 
     def run(columns: list) -> list:

@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType, LongType, StructField, StructType
 
-from .common import Bounded, filled, filter_rows, fold_of, map_columns, once_per_worker, sample_rows
+from .common import Bounded, filled, filter_rows, fold_of, give_back, map_columns, once_per_worker, sample_rows
 from .hashing import CACHED_BYTES, GOLDEN, mix, runs
 
 SAMPLE_ROWS = 8_000
@@ -114,6 +114,7 @@ class Scorer:
 
 def _shared_scorer(docs: DataFrame, labels: DataFrame, most: int, id_column: str, text_column: str):
     model = docs.sparkSession.sparkContext.broadcast(fit(training_sample(docs, labels, most, id_column, text_column)))
+    give_back()
     key = f"quality-{uuid.uuid4().hex}"
     return lambda: once_per_worker(key, lambda: Scorer(*model.value))
 
