@@ -8,6 +8,8 @@ from pyspark.sql import functions as F
 from ..storage import cut
 from .prefix import running_sums
 
+#: Rows of a table of blocks that is broadcast, at most.
+MOST_BROADCAST = 1_000_000
 
 def with_partition(df: DataFrame, m: int, kind: str = "mod", order_by: list[str] | None = None) -> DataFrame:
     """df with part_ix in 0..m-1: by id, by a hash of it, by order (equal shares of the sorted records), or as read.
@@ -37,7 +39,9 @@ def with_pieces(df: DataFrame, profile: DataFrame, total: int, r: int, grain: in
     q = F.ceil(F.sqrt(2.0 * grain * r * F.col("pairs").cast("double") / max(1, total)))
     if max_entities:
         q = F.greatest(q, F.ceil(F.col("n") / max_entities))
-    pieces = profile.select("block_key", F.greatest(q, F.lit(1)).cast("int").alias("__q"))
+    pieces = profile.select("block_key", q.cast("int").alias("__q")).where("__q > 1")
+    # without a cap on records these are fewer than 2 * grain * r blocks
+    pieces = F.broadcast(pieces) if not max_entities or pieces.count() <= MOST_BROADCAST else pieces
     joined = df.drop("part_ix").join(pieces, "block_key", "left")
     return joined.withColumn("part_ix", F.pmod(F.xxhash64("entity_id"), F.coalesce("__q", F.lit(1))).cast("int")).drop("__q")
 

@@ -50,15 +50,23 @@ def match_tasks_two_source(matrix: DataFrame, profile: DataFrame, r: int, total:
     return _light_tasks(profile, heavy).unionByName(split)
 
 
-def route(df: DataFrame, placed: DataFrame) -> DataFrame:
-    """A copy of each record for every task that holds its block or piece.
+def destinations(matrix: DataFrame, placed: DataFrame) -> DataFrame:
+    """(block_key, block_ix, part_ix, tasks): the tasks (hi, lo, reduce_ix) of the records of each cell. It is made of
+    cells and tasks alone."""
+    cell = ["block_key", "block_ix", "part_ix"]
+    task = F.struct("hi", "lo", "reduce_ix").alias("task")
+    whole = placed.where(F.col("hi") == WHOLE).select("block_ix", task)
+    sides = placed.where(F.col("hi") != WHOLE).select("block_ix", task, F.explode(F.array_distinct(F.array("hi", "lo"))).alias("part_ix"))
+    light = matrix.select(*cell).join(whole, "block_ix").select(*cell, F.array("task").alias("tasks"))
+    heavy = matrix.select(*cell).join(sides, ["block_ix", "part_ix"]).groupBy(*cell).agg(F.collect_list("task").alias("tasks"))
+    return light.unionByName(heavy)
 
-    df has block_ix and part_ix, placed has reduce_ix. Spark broadcasts the side of pieces where it is small; light
-    blocks may be many and are joined by block.
-    """
-    whole = placed.where(F.col("hi") == WHOLE).select("block_ix", "hi", "lo", "reduce_ix")
-    sides = placed.where(F.col("hi") != WHOLE).select("block_ix", "hi", "lo", "reduce_ix", F.explode(F.array_distinct(F.array("hi", "lo"))).alias("part_ix"))
-    return df.join(whole, "block_ix").unionByName(df.join(sides, ["block_ix", "part_ix"]))
+
+def route(df: DataFrame, matrix: DataFrame, placed: DataFrame) -> DataFrame:
+    """A copy of each record for every task that holds its block or piece. Records meet the tasks of their own cell, so
+    no block is brought together ahead of its tasks."""
+    rows = df.join(destinations(matrix, placed), ["block_key", "part_ix"]).withColumn("task", F.explode("tasks"))
+    return rows.select("block_ix", "task.hi", "task.lo", "task.reduce_ix", *(c for c in df.columns if c != "block_key"))
 
 
 KEY = ["reduce_ix", "block_ix", "hi", "lo"]
@@ -73,10 +81,12 @@ def _pairs(a: DataFrame, b: DataFrame, test: str, attrs: bool) -> DataFrame:
 def pairs(routed: DataFrame, r: int, attrs: bool = False) -> DataFrame:
     """(left_id, right_id, block_ix, reduce_ix): the pairs of every task, each once.
 
-    Both sides are sent to their task by number, so the join below adds no shuffle, and no order of arrival matters.
+    Of two pieces one goes to the left and the other to the right side; a piece with itself goes to both. Both sides are
+    sent to their task by number, so the join below adds no shuffle, and no order of arrival matters.
     """
-    rows = layout.route(routed, r)
-    met = _pairs(rows, rows, "(a.hi = a.lo AND a.entity_id < b.entity_id) OR (a.hi > a.lo AND a.part_ix = a.hi AND b.part_ix = b.lo)", attrs)
+    a = layout.route(routed.where("hi = lo OR part_ix = hi"), r)
+    b = layout.route(routed.where("hi = lo OR part_ix = lo"), r)
+    met = _pairs(a, b, "a.hi <> a.lo OR a.entity_id < b.entity_id", attrs)
     swap = F.col("i") > F.col("j")
     more = [F.when(swap, F.col("y")).otherwise(F.col("x")).alias("left_attr"), F.when(swap, F.col("x")).otherwise(F.col("y")).alias("right_attr")] if attrs else []
     return met.select(F.least("i", "j").alias("left_id"), F.greatest("i", "j").alias("right_id"), "block_ix", "reduce_ix", *more)
@@ -84,7 +94,7 @@ def pairs(routed: DataFrame, r: int, attrs: bool = False) -> DataFrame:
 
 def pairs_two_source(routed: DataFrame, r: int, attrs: bool = False) -> DataFrame:
     """(left_id of R, right_id of S, block_ix, reduce_ix)."""
-    rows = layout.route(routed, r)
-    met = _pairs(rows.where("source = 'R'"), rows.where("source = 'S'"), "true", attrs)
+    a, b = (layout.route(routed.where(F.col("source") == s), r) for s in "RS")
+    met = _pairs(a, b, "true", attrs)
     names = {"i": "left_id", "j": "right_id", "x": "left_attr", "y": "right_attr"}
     return met.select(*(F.col(c).alias(names.get(c, c)) for c in met.columns))

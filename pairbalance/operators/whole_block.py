@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import keys, layout
@@ -10,9 +10,14 @@ from . import keys, layout
 PAIR = ["left_id", "right_id", "block_key", "reduce_ix"]
 
 
+def home(key: Column, r: int) -> Column:
+    """The task of a block: the first 32 bits of the MD5 of its key, modulo r, which any engine can tell."""
+    return (F.conv(F.left(F.md5(key), F.lit(8)), 16, 10).cast("long") % r).cast("int")
+
+
 def route(df: DataFrame, r: int) -> DataFrame:
     """Records with the task of their block: one copy each."""
-    return df.where(F.col("block_key").isNotNull()).withColumn("reduce_ix", F.pmod(F.crc32("block_key"), F.lit(r)).cast("int"))
+    return df.where(F.col("block_key").isNotNull()).withColumn("reduce_ix", home(F.col("block_key"), r))
 
 
 def pairs(df: DataFrame, r: int, attrs: bool = False) -> DataFrame:

@@ -43,11 +43,6 @@ def first_stage(df: DataFrame, r: int, two_source: bool = False, combine: bool =
     return Plan(df, cells, profile, total, r, two_source)
 
 
-def with_index(plan: Plan) -> DataFrame:
-    """Keyed records with block_ix."""
-    return plan.records.join(plan.profile.select("block_key", "block_ix"), "block_key")
-
-
 def tasks(plan: Plan, mode: str = "auto", keep_zero_tasks: bool = False, max_entities: int | None = None) -> DataFrame:
     """Match tasks with their reduce task."""
     if plan.two_source:
@@ -62,10 +57,15 @@ def routed(plan: Plan, strategy: str, cut: str = "proportional", relevance: str
     if strategy == "whole_block":
         return whole_block.route(plan.records, plan.r)
     if strategy == "sub_block":
-        return sub_block.route(with_index(plan), tasks(plan, mode))
-    indexed = pair_interval.with_entity_index(plan.records, plan.cells, plan.two_source, paired=True)
-    parts = pair_interval.segments(plan.profile, plan.total, plan.r, cut)
-    return pair_interval.route_two_source(indexed, parts) if plan.two_source else pair_interval.route(indexed, parts, relevance)
+        return sub_block.route(plan.records, plan.cells, tasks(plan, mode))
+    if plan.two_source:
+        return pair_interval.route_two_source(indexed(plan), plan.total, plan.r, cut)
+    return pair_interval.route(indexed(plan), plan.total, plan.r, cut, relevance)
+
+
+def indexed(plan: Plan) -> DataFrame:
+    """Records of blocks with a pair, with their place in the block and the block's numbers."""
+    return pair_interval.with_entity_index(plan.records, plan.cells, plan.two_source, plan.profile)
 
 
 def pairs(plan: Plan, strategy: str, cut: str = "proportional", relevance: str = "exact", roles: bool = True, attrs: bool = False, mode: str = "auto") -> DataFrame:
@@ -80,9 +80,7 @@ def pairs(plan: Plan, strategy: str, cut: str = "proportional", relevance: str =
     if plan.two_source:
         return pair_interval.pairs_two_source(routed(plan, strategy, cut), plan.r, attrs)
     if roles:
-        indexed = pair_interval.with_entity_index(plan.records, plan.cells, paired=True)
-        parts = pair_interval.segments(plan.profile, plan.total, plan.r, cut)
-        return pair_interval.pairs(*pair_interval.route_roles(indexed, parts), plan.r, attrs)
+        return pair_interval.pairs(*pair_interval.route_roles(indexed(plan), plan.total, plan.r, cut), plan.r, attrs)
     rows = routed(plan, strategy, cut, relevance)
     return pair_interval.pairs(rows, rows, plan.r, attrs)
 
@@ -95,7 +93,7 @@ def task_loads(plan: Plan, strategy: str, cut: str = "proportional", mode: str =
         low, high = interval_bounds(F.col("reduce_ix"), plan.total, plan.r, cut)
         return every.select("reduce_ix", F.greatest(high - low + 1, F.lit(0)).cast("long").alias("pairs"))
     if strategy == "whole_block":
-        placed = plan.profile.select(F.pmod(F.crc32("block_key"), F.lit(plan.r)).cast("int").alias("reduce_ix"), "pairs")
+        placed = plan.profile.select(whole_block.home(F.col("block_key"), plan.r).alias("reduce_ix"), "pairs")
     else:
         placed = tasks(plan, mode).select("reduce_ix", "pairs")
     sums = placed.groupBy("reduce_ix").agg(F.sum("pairs").alias("pairs"))
@@ -155,20 +153,30 @@ def two_source_layout(df: DataFrame, m_r: int, m_s: int) -> DataFrame:
     return df.withColumn("part_ix", F.when(of_r, F.pmod("entity_id", F.lit(m_r))).otherwise(F.pmod("entity_id", F.lit(m_s)) + m_r).cast("int"))
 
 
-def advise(plan: Plan) -> dict:
+def copies(plan: Plan, strategy: str, cut: str = "proportional") -> int:
+    """Rows that will leave the map side, from cells and profile alone."""
+    of = lambda df, c: int(df.agg(F.coalesce(F.sum(c), F.lit(0))).first()[0])
+    if strategy == "whole_block":
+        return of(plan.cells, "n")
+    if strategy == "pair_interval":
+        return pair_interval.copies(plan.profile, plan.total, plan.r, cut)
+    heavy = F.broadcast(sub_block.heavy_blocks(plan.profile, plan.r, plan.total).select("block_ix"))
+    cells = plan.cells.join(heavy, "block_ix", "left_semi")
+    pieces = cells.groupBy("block_ix").agg(F.count("*").alias("pieces"))
+    split = cells.join(F.broadcast(pieces), "block_ix").select((F.col("n") * (F.col("pieces") - 1 + (F.col("n") > 1).cast("int"))).alias("n"))
+    return of(split, "n") + of(plan.profile.where("pairs > 0").join(heavy, "block_ix", "left_anti"), "n")
+
+
+def advise(plan: Plan, most_pairs: int = 10**15) -> dict:
     """Which strategy to take, from the first stage alone: no record is read.
 
-    Sub-block splitting copies less when its pieces can be balanced, that is when the input order does not follow the
-    key; otherwise the even intervals win. Pairs that no cluster can compare call for a finer key.
+    Of the strategies whose largest load is within a tenth of the average, the one that moves the fewest rows. Sub-block
+    splitting is among them when the input order does not follow the key; even intervals always are. ``finer_key`` says
+    that there are more pairs than can be compared.
     """
     largest = lambda s: int(task_loads(plan, s).agg(F.max("pairs")).first()[0] or 0)
+    strategies = ("whole_block", "sub_block", "pair_interval")
     mean = plan.total / plan.r if plan.r else 0
-    loads = {s: largest(s) for s in ("whole_block", "sub_block", "pair_interval")}
-    records = int(plan.cells.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0])
-    blocks = plan.profile.where("pairs > 0").count()
-    copies = {"whole_block": records, "pair_interval": records + blocks + plan.r * max(1, records // max(1, blocks))}
-    good = {s for s, load in loads.items() if load <= 1.1 * mean + 1}
-    best = next((s for s in ("whole_block", "sub_block", "pair_interval") if s in good), "pair_interval")
-    if plan.total > 10**15:
-        return {"strategy": best, "largest": loads, "copies": copies, "finer_key": True}
-    return {"strategy": best, "largest": loads, "copies": copies, "finer_key": False, "mean": math.ceil(mean)}
+    loads, moved = {s: largest(s) for s in strategies}, {s: copies(plan, s) for s in strategies}
+    good = [s for s in strategies if loads[s] <= 1.1 * mean + 1] or ["pair_interval"]
+    return {"strategy": min(good, key=moved.__getitem__), "largest": loads, "copies": moved, "mean": math.ceil(mean), "finer_key": plan.total > most_pairs}

@@ -33,14 +33,13 @@ def peak_group(routed: DataFrame, keys: list[str]) -> int:
 
 def pair_checks(plan: engine.Plan, roles: bool, cut: str = "proportional") -> DataFrame:
     """One row: candidate pairs that tasks form before the test of the number, and all pairs; no pair is formed."""
-    indexed = pair_interval.with_entity_index(plan.records, plan.cells)
-    parts = pair_interval.segments(plan.profile, plan.total, plan.r, cut)
-    key = ["reduce_ix", "block_ix"]
+    rows, key = engine.indexed(plan), ["reduce_ix", "block_ix"]
     if roles:
-        low, high = (x.groupBy(*key).agg(F.count("*").alias(c)) for x, c in zip(pair_interval.route_roles(indexed, parts), ("n_low", "n_high"), strict=True))
+        sides = zip(pair_interval.route_roles(rows, plan.total, plan.r, cut), ("n_low", "n_high"), strict=True)
+        low, high = (x.groupBy(*key).agg(F.count("*").alias(c)) for x, c in sides)
         formed = low.join(high, key).select((F.col("n_low") * F.col("n_high")).alias("formed"))
     else:
-        sizes = pair_interval.route(indexed, parts).groupBy(*key).count()
+        sizes = pair_interval.route(rows, plan.total, plan.r, cut).groupBy(*key).count()
         formed = sizes.select(F.expr("count * (count - 1) div 2").alias("formed"))
     return formed.agg(F.coalesce(F.sum("formed"), F.lit(0)).alias("formed"), F.lit(plan.total).cast("long").alias("pairs"))
 
@@ -67,6 +66,7 @@ def speedup(one: float, many: float) -> float:
 
 
 def simulated_speedup(loads: list[int], nodes: int, slots_per_node: int = 2) -> float:
-    """Total work over the makespan on nodes of two slots, against one node that is busy throughout."""
-    span = schedule.makespan(sorted(loads, reverse=True), nodes * slots_per_node)
+    """Total work over the makespan on nodes of two slots, tasks started in the order of the queue, against one node that is
+    busy throughout."""
+    span = schedule.makespan(loads, nodes * slots_per_node)
     return sum(loads) / slots_per_node / span if span else 0.0

@@ -165,6 +165,36 @@ def test_edit_threshold(spark):
         assert row.got == row.yes, row
 
 
+def test_other_measures(spark):
+    rows = spark.createDataFrame([("Robert Smith", "rupert  SMITH", 1 / 3), ("", "", 0.0), ("a b", "b a a", 1.0)], "a string, b string, jaccard double")
+    a, b = F.col("a"), F.col("b")
+    for row in rows.withColumns({"got": similarity.token_jaccard(a, b), "sound": similarity.same_sound(F.substring(a, 1, 6), F.substring(b, 1, 6))}).collect():
+        assert abs(row.got - row.jaccard) < 1e-9 and row.sound == (row.jaccard < 1)
+
+
+def test_makespans_by_nodes(spark):
+    """Each load, makespan and number of copies against counts of the pairs themselves, for few nodes."""
+    from pairbalance import queries
+
+    rows = entities(spark, mixed(n=60))
+    got = {(r.nodes, r.strategy): r for r in queries._makespans(spark, rows, ("whole_block", "sub_block", "pair_interval")).collect()}
+    for n in (1, 2, 5):
+        plan = engine.first_stage(layout.with_partition(rows, 2 * n), 10 * n)
+        for s in ("whole_block", "sub_block", "pair_interval"):
+            counts = dict(engine.pairs(plan, s).groupBy("reduce_ix").count().collect())
+            loads = [counts.get(i, 0) for i in range(10 * n)]
+            slots = [0] * (2 * n)
+            for load in loads:
+                slots[slots.index(min(slots))] += load
+            assert (got[n, s].makespan, got[n, s].speedup) == (max(slots), sum(loads) / 2 / max(slots))
+    assert got[1, "whole_block"].rows_out == 60
+
+
+def test_makespan_follows_the_queue():
+    assert schedule.makespan([1, 1, 4], 2) == 5 and schedule.makespan([4, 1, 1], 2) == 4
+    assert measures.simulated_speedup([1, 1, 4], 1) == 0.6
+
+
 def test_measures(spark):
     assert gini_of([1, 1, 1]) == 0 and gini_of([0, 0, 9]) > 0.6 and gini_of([]) == 0
     assert measures.time_per_10k(2.25, 100_000) == 225.0 and measures.speedup(10, 5) == 2
@@ -194,7 +224,10 @@ def test_behaviour_under_skew_and_sorting(spark):
     assert over(steep, "pair_interval") < 1.01 and over(steep, "sub_block") < 1.1
     ordered = engine.first_stage(layout.with_partition(skewgen.exponential_key(df, F.col("entity_id"), 4_000, 100, 0.3), 20, "ordered"), 100)
     assert over(ordered, "sub_block") > 2 > 1.01 > over(ordered, "pair_interval")
-    assert engine.advise(ordered)["strategy"] == "pair_interval"
+    said = engine.advise(ordered)
+    assert said["strategy"] == "pair_interval"
+    sides = [x.count() for x in pair_interval.route_roles(engine.indexed(ordered), ordered.total, ordered.r)]
+    assert said["copies"] == {"whole_block": 4_000, "pair_interval": sum(sides), "sub_block": engine.routed(ordered, "sub_block").count()}
 
 
 def test_python_matcher_and_stream_reducer(spark):
@@ -216,8 +249,28 @@ def test_blocks_without_a_pair_are_left_out_early(spark):
     rows = [(0, "a", "k", "R"), (1, "a", "k", "S"), (2, "a", "j", "R"), (3, "a", "j", "R"), (4, "a", "solo", "S")]
     df = spark.createDataFrame(rows, "entity_id long, attr string, block_key string, source string")
     two = engine.first_stage(engine.two_source_layout(df, 2, 2), 3, two_source=True)
-    left = pair_interval.with_entity_index(two.records, two.cells, True, paired=True).collect()
+    left = pair_interval.with_entity_index(two.records, two.cells, True, two.profile).collect()
     assert {r.entity_id for r in left} == {0, 1}
     one = engine.first_stage(layout.with_partition(df.drop("source"), 2), 3)
-    left = pair_interval.with_entity_index(one.records, one.cells, paired=True).collect()
+    left = pair_interval.with_entity_index(one.records, one.cells, profile=one.profile).collect()
     assert {r.entity_id for r in left} == {0, 1, 2, 3}
+
+
+@pytest.mark.parametrize("strategy,two", [("sub_block", False), ("pair_interval", False), ("sub_block", True), ("pair_interval", True)])
+def test_no_record_is_moved_by_its_block_alone(spark, strategy, two):
+    """With tables of blocks too large to broadcast, records meet their block's numbers by cell."""
+    rows = [(*row, "RS"[row[0] % 2]) for row in mixed(n=400)]
+    df = spark.createDataFrame(rows, "entity_id long, attr string, block_key string, source string")
+    laid = engine.two_source_layout(df, 3, 3) if two else layout.with_partition(df, 3)
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        plan = engine.first_stage(laid, 5, two_source=two)
+        records = plan.records.withColumn("attr", F.concat("attr", F.lit("!")))  # tells exchanges of records from those of cells
+        plan.records = records
+        text = engine.routed(plan, strategy)._jdf.queryExecution().executedPlan().toString().splitlines()
+        keyed = [line for line in text if "Exchange hashpartitioning(" in line]
+        of_records = [line for k, line in enumerate(text) if "Exchange hashpartitioning(" in line and any("!" in x for x in text[k : k + 4])]
+        assert keyed and of_records and all("part_ix" in line for line in of_records), of_records
+        assert found(engine.pairs(plan, strategy)) == found(engine.pairs(plan, "whole_block"))
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
