@@ -42,10 +42,16 @@ def stream_sliding(spark, sf_dir):
     return _finished(counts.select(F.date_format("start", "yyyy-MM-dd HH").alias("start"), "n"))
 
 
-@query("stream_sessions")
+_MOMENT = "strftime({}, '%Y-%m-%d %H:%M:%S.%f')"
+
+
+@query("stream_sessions", f"""WITH g AS (SELECT user_id, ts, CASE WHEN ts < lag(ts) OVER w + INTERVAL 6 HOUR THEN 0 ELSE 1 END AS fresh FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)),
+s AS (SELECT user_id, ts, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts) AS session FROM g)
+SELECT {_MOMENT.format('min(ts)')} AS start, {_MOMENT.format('max(ts) + INTERVAL 6 HOUR')} AS "end", user_id, count(*) AS n FROM s GROUP BY user_id, session""")
 def stream_sessions(spark, sf_dir):
     late = streaming.with_lateness(streaming.instants(_events(spark, sf_dir)), "1 hour")
-    return _finished(streaming.windowed(late, ["user_id"], "session", gap="6 hours"))
+    moment = lambda c: F.date_format(c, "yyyy-MM-dd HH:mm:ss.SSSSSS").alias(c)
+    return _finished(streaming.windowed(late, ["user_id"], "session", gap="6 hours").select(moment("start"), moment("end"), "user_id", "n"))
 
 
 @query("stream_dedup", "SELECT DISTINCT user_id, event_type, strftime(ts, '%Y-%m-%d') AS day FROM events")

@@ -72,15 +72,17 @@ def match_increment(stored: DataFrame, batch: DataFrame, r: int, m: int = 4, ten
 
 
 def match_stream(stream: DataFrame, stored_path: str, out_path: str, r: int) -> Callable[[DataFrame, int], None]:
-    """A foreachBatch function: match each batch with what has been stored, then store it."""
+    """A foreachBatch function: match each batch with those stored before it, then store it. Both are written under the
+    batch's number, so a batch that is replayed gives the same tables."""
 
     def step(batch: DataFrame, number: int) -> None:
         spark = batch.sparkSession
         batch = batch.persist()
         try:
-            stored = spark.read.schema(batch.schema).parquet(stored_path) if number else batch.limit(0)
+            earlier = [f"{stored_path}/batch={k}" for k in range(number)]
+            stored = spark.read.schema(batch.schema).parquet(*earlier) if earlier else batch.limit(0)
             match_increment(stored, batch, r).write.mode("overwrite").parquet(f"{out_path}/batch={number}")
-            batch.write.mode("append").parquet(stored_path)
+            batch.write.mode("overwrite").parquet(f"{stored_path}/batch={number}")
         finally:
             batch.unpersist()
 
@@ -88,9 +90,19 @@ def match_stream(stream: DataFrame, stored_path: str, out_path: str, r: int) ->
 
 
 def finish(stream: DataFrame, name: str, mode: str = "complete"):
-    """Run a stream over all that is there and give the table of its last result and its progress reports."""
+    """Run a stream over all that is there and give the table of its result and its progress reports: the last table of
+    complete results, or all that was appended or updated. It is kept as Parquet in the shared folder."""
     spark = stream.sparkSession
     place = f"{shared_folder(spark)}/streams/{name}"
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", place).trigger(availableNow=True).start()
+    done: set[int] = set()
+
+    def store(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{place}/out/batch={number}")
+        done.add(number)
+
+    query = stream.writeStream.foreachBatch(store).outputMode(mode).option("checkpointLocation", f"{place}/state").trigger(availableNow=True).start()
     query.awaitTermination()
-    return spark.table(name), query.recentProgress
+    if not done:
+        return spark.createDataFrame([], stream.schema), query.recentProgress
+    last = [max(done)] if mode == "complete" else sorted(done)
+    return spark.read.schema(stream.schema).parquet(*(f"{place}/out/batch={k}" for k in last)), query.recentProgress
