@@ -107,7 +107,7 @@ def agg_collect(df: DataFrame, keys: list[str], value: str, by: str) -> DataFram
 
 def win_rank(df: DataFrame, by: list[str], order: list[Column]) -> DataFrame:
     w = Window.partitionBy(*by).orderBy(*order)
-    return df.withColumns({"place": F.row_number().over(w), "rank": F.rank().over(w), "dense": F.dense_rank().over(w), "quarter": F.ntile(4).over(w)})
+    return df.withColumns({"place": F.row_number().over(w), "rank": F.rank().over(w), "dense": F.dense_rank().over(w), "quarter": F.ntile(4).over(w), "share": F.percent_rank().over(w)})
 
 
 def win_analytic(df: DataFrame, by: list[str], order: list[str], value: str) -> DataFrame:

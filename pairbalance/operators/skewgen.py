@@ -45,10 +45,11 @@ def exponential_key(df: DataFrame, identity: Column, n: int, b: int = 100, s: fl
     return df.withColumn("block_key", F.when(k < b, F.concat(F.lit("k"), F.lpad(k.cast("string"), 4, "0"))).otherwise(tail))
 
 
-def key_sql(identity: str, n: int, b: int, s: float) -> str:
-    """The key without a tail as SQL, by the same whole numbers."""
-    step = PERMUTE
-    while math.gcd(step, n) != 1:
-        step += 2
-    points = ", ".join(map(str, cut_points(n, b, s)))
-    return f"'k' || lpad(CAST(len(list_filter([{points}], lambda e: e <= ((({identity}) * {step}) % {n}))) AS VARCHAR), 4, '0')"
+def key_sql(identity: str, n: str, b: int, s: float) -> str:
+    """The key without a tail as SQL, by the same whole numbers, for n that is no multiple of PERMUTE."""
+    ends, total = [], 0.0
+    for share in shares(b, s):
+        total += share
+        ends.append(f"{total!r}::DOUBLE")
+    points = f"list_transform([{', '.join(ends)}], lambda x: CAST(round_even(x * {n}, 0) AS BIGINT))"
+    return f"'k' || lpad(CAST(len(list_filter({points}, lambda e: e <= ((({identity}) * {PERMUTE}) % {n}))) AS VARCHAR), 4, '0')"

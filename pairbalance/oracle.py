@@ -5,13 +5,20 @@ It repeats none of the engine's arithmetic, so that agreement means something.
 
 from __future__ import annotations
 
-DOCUMENTS = """SELECT doc_id AS entity_id, left(regexp_replace(text, '[^ -~]', '', 'g'), 60) AS attr, lower(left(trim(text), 3)) AS block_key,
+TITLE = "regexp_extract(html, '<title>([^<]*)</title>', 1)"
+DOCUMENTS = """SELECT doc_id AS entity_id, text AS attr, lower(left(trim(text), 3)) AS block_key,
   CASE WHEN CAST(substr(source, 4) AS INT) < 10 THEN 'R' ELSE 'S' END AS source FROM documents"""
-PAGES = """SELECT page_id AS entity_id, left(regexp_replace(regexp_extract(html, '<title>([^<]*)</title>', 1), '[^ -~]', '', 'g'), 60) AS attr,
-  lower(left(trim(regexp_extract(html, '<title>([^<]*)</title>', 1)), 3)) AS block_key FROM pages"""
-CONVERSATIONS = """SELECT conv_id * 1000 + turn AS entity_id, left(regexp_replace(text, '[^ -~]', '', 'g'), 60) AS attr, lower(left(trim(text), 3)) AS block_key FROM conversations"""
+PAGES = f"""SELECT page_id AS entity_id, {TITLE} AS attr, lower(left(trim({TITLE}), 3)) AS block_key,
+  CASE WHEN starts_with(url, 'https://') THEN 'R' ELSE 'S' END AS source FROM pages"""
+CONVERSATIONS = "SELECT conv_id * 1000 + turn AS entity_id, text AS attr, lower(left(trim(text), 3)) AS block_key FROM conversations"
 PART = "SELECT p_partkey AS entity_id, p_name AS attr, lower(left(trim(p_name), 3)) AS block_key FROM part"
-STRICT = f"SELECT entity_id, attr, source, CASE WHEN regexp_full_match(block_key, '[a-z]{{3}}') THEN block_key END AS block_key FROM ({DOCUMENTS})"
+
+
+def strict(entities: str) -> str:
+    return f"SELECT entity_id, attr, source, CASE WHEN regexp_full_match(block_key, '[a-z]{{3}}') THEN block_key END AS block_key FROM ({entities})"
+
+
+STRICT = strict(PAGES)
 SORTED = "CAST((row_number() OVER (ORDER BY block_key, entity_id) - 1) * {m} // count(*) OVER () AS INT)"
 MOD = "CAST(entity_id % {m} AS INT)"
 
@@ -71,5 +78,44 @@ MATCH_COLUMNS = """a.entity_id AS left_id, b.entity_id AS right_id, CAST(levensh
 SIMILAR = "5 * levenshtein(a.attr, b.attr) <= greatest(length(a.attr), length(b.attr))"
 
 
-def matches(test: str, entities: str = DOCUMENTS) -> str:
-    return pairs(entities, f"{test} AND {SIMILAR}", MATCH_COLUMNS)
+def one_byte(entities: str) -> str:
+    """Common table e: the whole attribute with each letter beyond ASCII as an ASCII one that the table does not use.
+
+    DuckDB counts edits of bytes; with one byte for each letter they are edits of letters.
+    """
+    return f"""t AS ({entities}), letters AS (SELECT DISTINCT unnest(string_split(attr, '')) AS ch FROM t),
+wide AS (SELECT ch, row_number() OVER (ORDER BY ch) AS i FROM letters WHERE unicode(ch) > 127),
+free AS (SELECT chr(CAST(x.range AS INT)) AS ch, row_number() OVER (ORDER BY x.range) AS i FROM range(1, 128) x WHERE chr(CAST(x.range AS INT)) NOT IN (SELECT ch FROM letters)),
+codes AS (SELECT coalesce(string_agg(wide.ch, '' ORDER BY i), '') AS wide, coalesce(string_agg(free.ch, '' ORDER BY i), '') AS free FROM wide JOIN free USING (i)),
+e AS (SELECT t.* REPLACE (translate(attr, wide, free) AS attr) FROM t, codes)"""
+
+
+def matches(test: str, entities: str = PAGES, similar: str = SIMILAR, columns: str = MATCH_COLUMNS) -> str:
+    return f"WITH {one_byte(entities)} SELECT {columns} FROM e a JOIN e b ON {test} AND {similar}"
+
+
+def loads(cells: str, r: int) -> str:
+    """A query of the loads of all r reduce tasks after greedy placement of sub-block tasks, on top of cells given as the
+    common tables of base()."""
+    return f"""WITH RECURSIVE {cells}, {tasks(r)}, {placement(r)}
+SELECT CAST(x.range AS INT) AS reduce_ix, CAST(coalesce(sum(placed.pairs), 0) AS BIGINT) AS pairs FROM range({r}) x LEFT JOIN placed ON placed.reduce_ix = x.range GROUP BY 1"""
+
+
+def whole_loads(cells: str, r: int) -> str:
+    """The same for whole blocks."""
+    return f"""WITH {cells}, h AS (SELECT {home('block_key', r)} AS reduce_ix, pairs FROM profile)
+SELECT CAST(x.range AS INT) AS reduce_ix, CAST(coalesce(sum(h.pairs), 0) AS BIGINT) AS pairs FROM range({r}) x LEFT JOIN h ON h.reduce_ix = x.range GROUP BY 1"""
+
+
+def even_loads(cells: str, r: int) -> str:
+    """The same for intervals of pair numbers: how many of the numbers fall into each."""
+    return f"""WITH {cells}, g AS (SELECT {interval('p.range', r)} AS k, count(*) AS pairs FROM range((SELECT total FROM total)) p GROUP BY 1)
+SELECT CAST(x.range AS INT) AS reduce_ix, coalesce(g.pairs, 0) AS pairs FROM range({r}) x LEFT JOIN g ON g.k = x.range"""
+
+
+def home(key: str, r: int) -> str:
+    """The reduce task of a whole block."""
+    return f"CAST(('0x' || substr(md5({key}), 1, 8))::BIGINT % {r} AS INT)"
+
+
+IMBALANCE = "max(pairs) AS largest, max(pairs) * count(*) / sum(pairs) AS over_average"

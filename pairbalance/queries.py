@@ -39,9 +39,11 @@ def documents(spark: SparkSession, sf_dir: str, policy: str = "as_is") -> DataFr
     return keys.entities(read(spark, sf_dir, "documents"), F.col("doc_id"), F.col("text"), keys.prefix_key("text"), policy, side)
 
 
-def pages(spark: SparkSession, sf_dir: str) -> DataFrame:
+def pages(spark: SparkSession, sf_dir: str, policy: str = "as_is") -> DataFrame:
+    """Pages by their whole titles; the pages of https are the first source."""
     title = F.regexp_extract("html", "<title>([^<]*)</title>", 1)
-    return keys.entities(read(spark, sf_dir, "pages"), F.col("page_id"), title, keys.prefix_key(title))
+    side = F.when(F.startswith(F.col("url"), F.lit("https://")), "R").otherwise("S")
+    return keys.entities(read(spark, sf_dir, "pages"), F.col("page_id"), title, keys.prefix_key(title), policy, side)
 
 
 def conversations(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -240,7 +242,7 @@ def pair_checks_plain(spark, sf_dir):
     return measures.pair_checks(planned(spark, sf_dir), roles=False)
 
 
-@query("pair_checks_roles")
+@query("pair_checks_roles", f"WITH {oracle.base()}, {oracle.PLACES}, g AS (SELECT count(DISTINCT i) * count(DISTINCT j) AS c FROM numbered GROUP BY block_ix, {oracle.interval('p', R)}) SELECT CAST(sum(c) AS BIGINT) AS formed, (SELECT total FROM total) AS pairs FROM g")
 def pair_checks_roles(spark, sf_dir):
     return measures.pair_checks(planned(spark, sf_dir), roles=True)
 
@@ -283,26 +285,48 @@ _MATCHES = oracle.matches("a.block_key = b.block_key AND a.entity_id < b.entity_
 def _matches(strategy: str) -> None:
     @query(f"matches_{strategy}", _MATCHES)
     def found(spark, sf_dir):
-        return engine.match(documents(spark, sf_dir), strategy, R, M)
+        return engine.match(pages(spark, sf_dir), strategy, R, M)
 
 
 for _s in ("whole_block", "sub_block", "pair_interval"):
     _matches(_s)
 
 
-@query("matches_combined", oracle.pairs(oracle.DOCUMENTS, """a.block_key = b.block_key AND a.entity_id < b.entity_id AND
- (CASE WHEN greatest(length(a.attr), length(b.attr)) = 0 THEN 1.0::DOUBLE ELSE 1 - levenshtein(a.attr, b.attr) / greatest(length(a.attr), length(b.attr)) END) * 3 + (CASE WHEN a.attr = b.attr THEN 1 ELSE 0 END) >= 3.2"""))
+@query("matches_documents")
+def matches_documents(spark, sf_dir):
+    """Whole texts of documents. The band of two long texts is wide, so this is for small tables."""
+    return engine.match(documents(spark, sf_dir), "pair_interval", R, M)
+
+
+_EDIT = "CASE WHEN greatest(length(a.attr), length(b.attr)) = 0 THEN 1.0::DOUBLE ELSE 1 - levenshtein(a.attr, b.attr) / greatest(length(a.attr), length(b.attr)) END"
+_IDS = "a.entity_id AS left_id, b.entity_id AS right_id"
+
+
+@query("matches_combined", oracle.matches("a.block_key = b.block_key AND a.entity_id < b.entity_id", similar=f"{_EDIT} * 3 + (CASE WHEN a.attr = b.attr THEN 1 ELSE 0 END) >= 3.2", columns=_IDS))
 def matches_combined(spark, sf_dir):
     same = lambda a, b: (a == b).cast("double")
     # a mean of 0.8 takes an edit similarity of 2.2 / 3 at least, so those below 0.7 need not be known
     measure = similarity.combined([similarity.edit_similarity_within(7), same], [3.0, 1.0])
-    return engine.match(documents(spark, sf_dir), "pair_interval", R, M, matcher=measure, threshold=0.8).select("left_id", "right_id")
+    return engine.match(pages(spark, sf_dir), "pair_interval", R, M, matcher=measure, threshold=0.8).select("left_id", "right_id")
+
 
+_WORDS = "list_distinct(list_filter(regexp_split_to_array(lower(p_name), '[^a-z0-9]+'), lambda x: x <> ''))"
 
-@query("blocking_loss", f"""WITH e AS ({oracle.DOCUMENTS}), g AS (SELECT a.block_key = b.block_key AS inside FROM e a JOIN e b ON a.entity_id < b.entity_id AND {oracle.SIMILAR})
+
+@query("matches_tokens", f"""WITH e AS (SELECT p_partkey AS id, p_type AS block_key, {_WORDS} AS w FROM part WHERE p_size < 4)
+SELECT a.id AS left_id, b.id AS right_id, len(list_intersect(a.w, b.w)) / len(list_distinct(list_concat(a.w, b.w))) AS similarity FROM e a JOIN e b ON a.block_key = b.block_key AND a.id < b.id
+WHERE len(list_intersect(a.w, b.w)) * 10 >= 3 * len(list_distinct(list_concat(a.w, b.w)))""")
+def matches_tokens(spark, sf_dir):
+    """The smallest parts of one type, by the tokens of their names."""
+    rows = keys.entities(read(spark, sf_dir, "part").where("p_size < 4"), F.col("p_partkey"), F.col("p_name"), F.col("p_type"))
+    found = engine.match(rows, "pair_interval", R, M, matcher=similarity.token_jaccard, threshold=0.3)
+    return found.select("left_id", "right_id", "similarity")
+
+
+@query("blocking_loss", f"""WITH {oracle.one_byte(oracle.PAGES)}, g AS (SELECT a.block_key = b.block_key AS inside FROM e a JOIN e b ON a.entity_id < b.entity_id AND {oracle.SIMILAR})
 SELECT count(*) AS matches, count(*) FILTER (inside) AS found, count(*) FILTER (NOT inside) AS lost FROM g""")
 def blocking_loss(spark, sf_dir):
-    rows = documents(spark, sf_dir)
+    rows = pages(spark, sf_dir)
     reference = engine.match(rows.withColumn("block_key", keys.constant_key()), "pair_interval", R, M)
     return measures.blocking_recall(engine.match(rows, "pair_interval", R, M), reference)
 
@@ -373,7 +397,7 @@ def two_source_pair_interval_load(spark, sf_dir):
 
 @query("two_source_matches", oracle.matches(_ACROSS))
 def two_source_matches(spark, sf_dir):
-    return engine.match_two_source(documents(spark, sf_dir), "pair_interval", R, M)
+    return engine.match_two_source(pages(spark, sf_dir), "pair_interval", R, M)
 
 
 @query("two_source_documents_pages", f"WITH a AS ({oracle.DOCUMENTS}), b AS ({oracle.PAGES}) SELECT a.entity_id AS left_id, b.entity_id AS right_id FROM a JOIN b USING (block_key)")
@@ -384,12 +408,12 @@ def two_source_documents_pages(spark, sf_dir):
 
 @query("missing_keys_one_source", oracle.matches("a.entity_id < b.entity_id AND (a.block_key = b.block_key OR a.block_key IS NULL OR b.block_key IS NULL)", oracle.STRICT))
 def missing_keys_one_source(spark, sf_dir):
-    return engine.compared(nullkeys.pairs_one_source(documents(spark, sf_dir, "strict"), "pair_interval", R, M))
+    return engine.compared(nullkeys.pairs_one_source(pages(spark, sf_dir, "strict"), "pair_interval", R, M))
 
 
 @query("missing_keys_two_source", oracle.matches("a.source = 'R' AND b.source = 'S' AND (a.block_key = b.block_key OR a.block_key IS NULL OR b.block_key IS NULL)", oracle.STRICT))
 def missing_keys_two_source(spark, sf_dir):
-    return engine.compared(nullkeys.pairs_two_source(documents(spark, sf_dir, "strict"), "sub_block", R, M))
+    return engine.compared(nullkeys.pairs_two_source(pages(spark, sf_dir, "strict"), "sub_block", R, M))
 
 
 # --- workloads --------------------------------------------------------------------------------------------------------
@@ -400,26 +424,36 @@ def _skewed(spark: SparkSession, sf_dir: str, s: float) -> DataFrame:
     return skewgen.exponential_key(rows.select(F.col("p_partkey").alias("entity_id"), F.col("p_name").alias("attr")), F.col("entity_id"), rows.count(), s=s)
 
 
-def _skew(tenths: int) -> None:
-    # the table's rows at the scale of the check; the key's whole-number cuts depend on them
-    sql = f"SELECT {skewgen.key_sql('p_partkey', 2000, 100, tenths / 10)} AS block_key, count(*) AS n, count(*) * (count(*) - 1) // 2 AS pairs FROM part GROUP BY 1"
+SKEWS = (0, 2, 4, 6, 8, 10)
+
 
-    @query(f"skew_profile_s{tenths:02d}", sql)
+def _skew_sql(tenths: int) -> str:
+    return f"SELECT p_partkey AS entity_id, {skewgen.key_sql('p_partkey', 'rows', 100, tenths / 10)} AS block_key FROM part, (SELECT count(*) AS rows FROM part)"
+
+
+def _skew(tenths: int) -> None:
+    @query(f"skew_profile_s{tenths:02d}", f"SELECT block_key, count(*) AS n, count(*) * (count(*) - 1) // 2 AS pairs FROM ({_skew_sql(tenths)}) GROUP BY 1")
     def profile(spark, sf_dir):
         return engine.first_stage(layout.with_partition(_skewed(spark, sf_dir, tenths / 10), 20), 100).profile.select("block_key", "n", "pairs")
 
 
-for _t in (0, 2, 4, 6, 8, 10):
+for _t in SKEWS:
     _skew(_t)
 
+_LOADS_OF = {"whole_block": oracle.whole_loads, "sub_block": oracle.loads, "pair_interval": oracle.even_loads}
+
+
+def _balance_sql(columns: str, cells: str, r: int, strategy: str) -> str:
+    return f"SELECT {columns} FROM ({_LOADS_OF[strategy](cells, r)})"
 
-@query("skew_imbalance")
+
+@query("skew_imbalance", " UNION ALL ".join(_balance_sql(f"{t / 10}::DOUBLE AS skew, '{s}' AS strategy, CAST(sum(pairs) AS BIGINT) AS total, {oracle.IMBALANCE}", oracle.base(_skew_sql(t), 20), 100, s) for t in SKEWS for s in _LOADS_OF))
 def skew_imbalance(spark, sf_dir):
     """The largest load over the average, by skew and strategy, m = 20 and r = 100."""
     out = None
-    for tenths in (0, 2, 4, 6, 8, 10):
-        p = engine.first_stage(layout.with_partition(_skewed(spark, sf_dir, tenths / 10), 20, "hash"), 100)
-        for s in ("whole_block", "sub_block", "pair_interval"):
+    for tenths in SKEWS:
+        p = engine.first_stage(layout.with_partition(_skewed(spark, sf_dir, tenths / 10), 20), 100)
+        for s in _LOADS_OF:
             row = measures.imbalance(engine.task_loads(p, s)).select(F.lit(tenths / 10).alias("skew"), F.lit(s).alias("strategy"), "total", "largest", "over_average")
             out = row if out is None else out.unionByName(row)
     return out
@@ -436,11 +470,14 @@ def sorted_input_load(spark, sf_dir):
     return engine.task_loads(planned(spark, sf_dir, kind="ordered"), "sub_block").where("pairs > 0")
 
 
-@query("sorted_input_more_parts")
+MORE_PARTS = (20, 40, 80, 160)
+
+
+@query("sorted_input_more_parts", " UNION ALL ".join(_balance_sql(f"{m} AS m, {oracle.IMBALANCE}", oracle.base(m=m, part=oracle.SORTED), 100, "sub_block") for m in MORE_PARTS))
 def sorted_input_more_parts(spark, sf_dir):
     """Sub-block imbalance on sorted input by the number of input partitions."""
     out = None
-    for m in (20, 40, 80, 160):
+    for m in MORE_PARTS:
         p = planned(spark, sf_dir, 100, m, "ordered")
         row = measures.imbalance(engine.task_loads(p, "sub_block")).select(F.lit(m).alias("m"), "largest", "over_average")
         out = row if out is None else out.unionByName(row)
@@ -479,51 +516,90 @@ def map_output_sweep_sub_block(spark, sf_dir):
     return out
 
 
-@query("imbalance_sweep_r")
+TASKS = (20, 40, 60, 80, 100, 120, 140, 160)
+
+
+@query("imbalance_sweep_r", " UNION ALL ".join(_balance_sql(f"{r} AS r, '{s}' AS strategy, {oracle.IMBALANCE}, max(pairs) / sum(pairs) AS share", oracle.base(m=20), r, s) for r in TASKS for s in _LOADS_OF))
 def imbalance_sweep_r(spark, sf_dir):
     """Largest and average load by number of reduce tasks and strategy, m = 20."""
     out = None
     first = planned(spark, sf_dir, 1, 20)
-    for r in (20, 40, 60, 80, 100, 120, 140, 160):
+    for r in TASKS:
         p = replace(first, r=r)
-        for s in ("whole_block", "sub_block", "pair_interval"):
+        for s in _LOADS_OF:
             row = measures.imbalance(engine.task_loads(p, s)).select(F.lit(r).alias("r"), F.lit(s).alias("strategy"), "largest", "over_average", "share")
             out = row if out is None else out.unionByName(row)
     return out
 
 
+NODES = (1, 2, 5, 10, 20, 40, 100)
+
+
+def _makespans(spark: SparkSession, rows: DataFrame, strategies: tuple[str, ...], kind: str = "mod") -> DataFrame:
+    """By nodes of two slots, m = 2 n and r = 10 n: the makespan of the tasks in the order of the queue, the speed-up over
+    one balanced node, and the rows that leave the map side."""
+    fine = engine.first_stage(layout.with_partition(rows, 400, kind), 1)  # 400 is a multiple of every m
+    out = []
+    for n in NODES:
+        cells = fine.cells.groupBy("block_key", "block_ix", F.pmod("part_ix", F.lit(2 * n)).alias("part_ix")).agg(F.sum("n").alias("n"))
+        p = replace(fine, cells=cells, r=10 * n)
+        for s in strategies:
+            loads = [x.pairs for x in engine.task_loads(p, s).orderBy("reduce_ix").collect()]
+            out.append((n, s, schedule.makespan(loads, 2 * n), measures.simulated_speedup(loads, n), engine.copies(p, s)))
+    return spark.createDataFrame(out, "nodes int, strategy string, makespan double, speedup double, rows_out long")
+
+
 @query("makespan_nodes")
 def makespan_nodes(spark, sf_dir):
-    """Simulated speed-up by nodes of two slots, m = 2 n and r = 10 n."""
-    rows = []
-    for n in (1, 2, 5, 10, 20, 40, 100):
-        p = planned(spark, sf_dir, 10 * n, 2 * n, "hash")
-        for s in ("whole_block", "sub_block", "pair_interval"):
-            loads = [x.pairs for x in engine.task_loads(p, s).collect()]
-            rows.append((n, s, schedule.makespan(sorted(loads, reverse=True), 2 * n), measures.simulated_speedup(loads, n)))
-    return spark.createDataFrame(rows, "nodes int, strategy string, makespan double, speedup double")
+    """The small set: whole blocks stop at two nodes."""
+    return _makespans(spark, documents(spark, sf_dir), tuple(_LOADS_OF))
 
 
-@query("large_set_load")
-def large_set_load(spark, sf_dir):
-    """Count-only run on lineitem with a largest block of about 4 % of records and 26 % of pairs."""
+def large_set(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Lineitem with a largest block of about 4 % of records and 26 % of pairs."""
     rows = read(spark, sf_dir, "lineitem").select("l_orderkey", "l_linenumber")
     identity = relops.project(rows, entity_id=F.xxhash64("l_orderkey", "l_linenumber"))
     n = rows.count()
-    keyed = skewgen.exponential_key(identity, F.pmod("entity_id", F.lit(n)), n, s=0.15, tail_share=0.71, tail_blocks=14_000)
-    p = engine.first_stage(layout.with_partition(keyed, 20, "hash"), 100)
+    return skewgen.exponential_key(identity, F.pmod("entity_id", F.lit(n)), n, s=0.15, tail_share=0.71, tail_blocks=14_000)
+
+
+@query("makespan_nodes_large")
+def makespan_nodes_large(spark, sf_dir):
+    """The large set, counts alone: the balanced strategies go on to more nodes."""
+    return _makespans(spark, large_set(spark, sf_dir), ("sub_block", "pair_interval"), "hash")
+
+
+@query("large_set_load")
+def large_set_load(spark, sf_dir):
+    """Count-only run on the large set, m = 20 and r = 100."""
+    p = engine.first_stage(layout.with_partition(large_set(spark, sf_dir), 20, "hash"), 100)
     out = measures.imbalance(engine.task_loads(p, "sub_block")).withColumn("strategy", F.lit("sub_block"))
     return out.unionByName(measures.imbalance(engine.task_loads(p, "pair_interval")).withColumn("strategy", F.lit("pair_interval")))
 
 
 @query("strategy_advice")
 def strategy_advice(spark, sf_dir):
-    """What the first stage alone advises, for hashed and for sorted input."""
+    """What the first stage alone advises, for input in the order of ids and sorted by key."""
     rows = []
-    for kind in ("hash", "ordered"):
+    for kind in ("mod", "ordered"):
         said = engine.advise(planned(spark, sf_dir, 100, 20, kind))
-        rows.append((kind, said["strategy"], said["largest"]["sub_block"], said["largest"]["pair_interval"]))
-    return spark.createDataFrame(rows, "layout string, strategy string, sub_block_largest long, pair_interval_largest long")
+        of = lambda what: [said[what][s] for s in ("sub_block", "pair_interval")]
+        rows.append((kind, said["strategy"], *of("largest"), *of("copies")))
+    return spark.createDataFrame(rows, "layout string, strategy string, sub_block_largest long, pair_interval_largest long, sub_block_copies long, pair_interval_copies long")
+
+
+def _advice_sql(kind: str, part: str) -> str:
+    cells = oracle.base(m=20, part=part)
+    largest = {s: f"(SELECT max(pairs) FROM ({of(cells, 100)}))" for s, of in _LOADS_OF.items()}
+    k = oracle.interval("p", 100)
+    sides = f"(WITH {cells}, {oracle.PLACES} SELECT (SELECT count(*) FROM (SELECT DISTINCT i, {k} FROM numbered)) + (SELECT count(*) FROM (SELECT DISTINCT j, {k} FROM numbered)))"
+    moved = f"(WITH {cells} SELECT rows_out FROM ({_sub_output_sql(100)}))"
+    return f"""SELECT '{kind}' AS layout, CASE WHEN whole <= bound THEN 'whole_block' WHEN sub <= bound AND sub_moved <= moved THEN 'sub_block' ELSE 'pair_interval' END AS strategy,
+sub AS sub_block_largest, even AS pair_interval_largest, sub_moved AS sub_block_copies, moved AS pair_interval_copies
+FROM (SELECT {largest['whole_block']} AS whole, {largest['sub_block']} AS sub, {largest['pair_interval']} AS even, {moved} AS sub_moved, {sides} AS moved, (WITH {cells} SELECT 1.1 * total / 100 + 1 FROM total) AS bound)"""
+
+
+ORACLE["strategy_advice"] = _advice_sql("mod", oracle.MOD) + " UNION ALL " + _advice_sql("ordered", oracle.SORTED)
 
 
 # --- extensions -------------------------------------------------------------------------------------------------------

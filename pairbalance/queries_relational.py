@@ -80,10 +80,10 @@ def join_asof(spark, sf_dir):
     return relops.join_asof(errors, clicks, "user_id", "ts", "click", "click_id").select("event_id", "user_id", "click_id")
 
 
-@query("join_full_outer", "WITH a AS (SELECT lang, count(*) AS r FROM documents WHERE doc_id % 3 = 0 AND lang <> 'es' GROUP BY 1), b AS (SELECT lang, count(*) AS s FROM documents WHERE lang <> 'de' GROUP BY 1) SELECT coalesce(a.lang, b.lang) AS lang, r, s FROM a FULL JOIN b ON a.lang = b.lang")
+@query("join_full_outer", "WITH a AS (SELECT lang, count(*) AS r FROM documents WHERE lang <> 'es' GROUP BY 1), b AS (SELECT lang, count(*) AS s FROM documents WHERE lang <> 'de' GROUP BY 1) SELECT coalesce(a.lang, b.lang) AS lang, r, s FROM a FULL JOIN b ON a.lang = b.lang")
 def join_full_outer(spark, sf_dir):
     rows = read(spark, sf_dir, "documents")
-    a = rows.where("doc_id % 3 = 0 AND lang <> 'es'").groupBy("lang").agg(F.count("*").alias("r"))
+    a = rows.where("lang <> 'es'").groupBy("lang").agg(F.count("*").alias("r"))
     b = rows.where("lang <> 'de'").groupBy("lang").agg(F.count("*").alias("s"))
     return relops.join_outer(a, b, ["lang"])
 
@@ -150,10 +150,10 @@ def agg_collect(spark, sf_dir):
     return relops.agg_collect(read(spark, sf_dir, "part"), ["p_brand"], "p_name", "p_partkey")
 
 
-@query("win_rank", "SELECT doc_id, row_number() OVER w AS place, rank() OVER v AS rank, dense_rank() OVER v AS dense, ntile(4) OVER w AS quarter FROM documents WINDOW w AS (PARTITION BY lang ORDER BY n_chars, doc_id), v AS (PARTITION BY lang ORDER BY n_chars, doc_id)")
+@query("win_rank", "SELECT doc_id, row_number() OVER w AS place, rank() OVER v AS rank, dense_rank() OVER v AS dense, ntile(4) OVER w AS quarter, percent_rank() OVER v AS share FROM documents WINDOW w AS (PARTITION BY lang ORDER BY n_chars, doc_id), v AS (PARTITION BY lang ORDER BY n_chars, doc_id)")
 def win_rank(spark, sf_dir):
     rows = relops.win_rank(read(spark, sf_dir, "documents"), ["lang"], [F.col("n_chars"), F.col("doc_id")])
-    return rows.select("doc_id", *(F.col(c).cast("long").alias(c) for c in ("place", "rank", "dense", "quarter")))
+    return rows.select("doc_id", *(F.col(c).cast("long").alias(c) for c in ("place", "rank", "dense", "quarter")), "share")
 
 
 @query("win_analytic", "SELECT event_id, lag(event_id) OVER w AS before, lead(event_id) OVER w AS behind, first_value(event_id) OVER f AS first_value, last_value(event_id) OVER f AS last_value, nth_value(event_id, 2) OVER f AS second_value FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id), f AS (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)")
@@ -195,10 +195,10 @@ def union_all(spark, sf_dir):
 
 
 def _sets(name: str, how: str, sql: str) -> None:
-    @query(name, f"SELECT lang, source FROM documents WHERE doc_id % 2 = 0 {sql} SELECT lang, source FROM documents WHERE doc_id % 3 = 0")
+    @query(name, f"SELECT lang, source FROM documents {sql} SELECT lang, source FROM documents WHERE doc_id IN (SELECT doc_id FROM labels)")
     def found(spark, sf_dir):
         rows = read(spark, sf_dir, "documents")
-        return relops.set_ops(rows.where("doc_id % 2 = 0").select("lang", "source"), rows.where("doc_id % 3 = 0").select("lang", "source"), how)
+        return relops.set_ops(rows.select("lang", "source"), relops.join_semi(rows, read(spark, sf_dir, "labels"), ["doc_id"]).select("lang", "source"), how)
 
 
 _sets("set_intersect", "intersect", "INTERSECT")
@@ -250,7 +250,7 @@ def date_functions(spark, sf_dir):
     )
 
 
-@query("array_functions", "SELECT doc_id, len(list_distinct(string_split(lower(left(text, 200)), ' '))) AS n, array_to_string(list_sort(list_distinct(list_filter(string_split(left(text, 200), ' '), lambda x: length(x) > 6))), ',') AS long_words, CAST(list_sum(list_transform(string_split(left(text, 200), ' '), lambda x: length(x))) AS BIGINT) AS letters FROM documents")
+@query("array_functions", "SELECT doc_id, len(list_distinct(string_split(lower(text), ' '))) AS n, array_to_string(list_sort(list_distinct(list_filter(string_split(text, ' '), lambda x: length(x) > 6))), ',') AS long_words, CAST(list_sum(list_transform(string_split(text, ' '), lambda x: length(x))) AS BIGINT) AS letters FROM documents")
 def array_functions(spark, sf_dir):
     words = F.split("text", " ")
     return read(spark, sf_dir, "documents").select(
@@ -306,6 +306,6 @@ def wide_profile(spark, sf_dir):
     return matrix.block_profile(cells, wide=True).select("block_ix", "pairs", "first_pair")
 
 
-@query("strict_keys", f"SELECT entity_id, block_key FROM ({oracle.STRICT})")
+@query("strict_keys", f"SELECT entity_id, block_key FROM ({oracle.strict(oracle.DOCUMENTS)})")
 def strict_keys(spark, sf_dir):
     return keys.with_block_key(documents(spark, sf_dir), F.col("block_key"), "strict").select("entity_id", "block_key")

@@ -38,6 +38,8 @@ def table(spark, tmp_path_factory):
     folder = str(tmp_path_factory.mktemp("whole"))
     rows = [(i, t, f"src{5 if i % 2 else 15}") for i, t in enumerate(TEXTS) if t is not None]
     spark.createDataFrame(rows, "doc_id long, text string, source string").write.parquet(f"{folder}/documents.parquet")
+    titled = [(i, f"http{'s' * (i % 2)}://x/{i}", f"<title>{t}</title>") for i, t, _ in rows]
+    spark.createDataFrame(titled, "page_id long, url string, html string").write.parquet(f"{folder}/pages.parquet")
     return folder, [(i, t, "R" if i % 2 else "S") for i, t, _ in rows]
 
 
@@ -45,7 +47,7 @@ def same_key(a, b, *_):
     return a.strip()[:3].lower() == b.strip()[:3].lower()
 
 
-@pytest.mark.parametrize("name", ["matches_whole_block", "matches_sub_block", "matches_pair_interval"])
+@pytest.mark.parametrize("name", ["matches_whole_block", "matches_sub_block", "matches_pair_interval", "matches_documents"])
 def test_matches(spark, table, name):
     got = {(r.left_id, r.right_id): r.distance for r in queries.QUERIES[name](spark, table[0]).collect()}
     assert got == brute(table[1], same_key) and (0, 1) in got and (0, 2) not in got and (4, 6) not in got
