@@ -5,6 +5,7 @@ import random
 import re
 
 import duckdb
+import numpy as np
 import pytest
 
 from pairbalance.llm import license_scan, pii, queries, url_filter
@@ -67,7 +68,7 @@ def test_every_signature_passes_the_gate(spark):
     assert len(license_scan.SIGNATURES) > 200
 
 
-def matched(parsed):
+def all_matched(parsed):
     """Every text that a parsed signature matches."""
     out = [""]
     for op, arg in parsed:
@@ -77,12 +78,12 @@ def matched(parsed):
             case "IN":
                 parts = [chr(c) for _, c in arg]
             case "SUBPATTERN":
-                parts = matched(arg[-1])
+                parts = all_matched(arg[-1])
             case "BRANCH":
-                parts = [t for b in arg[1] for t in matched(b)]
+                parts = [t for b in arg[1] for t in all_matched(b)]
             case "MAX_REPEAT":
                 assert arg[:2] == (0, 1)
-                parts = ["", *matched(arg[2])]
+                parts = ["", *all_matched(arg[2])]
             case _:
                 raise ValueError(op)
         out = [a + b for a in out for b in parts]
@@ -91,7 +92,7 @@ def matched(parsed):
 
 def test_every_text_of_a_signature_passes_gate_and_keyword():
     for label, keyword, pattern in license_scan.SIGNATURES:
-        for text in matched(re._parser.parse(pattern)):
+        for text in all_matched(re._parser.parse(pattern)):
             assert re.fullmatch(pattern, text)
             words = text.split()
             assert set(license_scan.FORMS.get(keyword, (keyword,))) & set(words), (label, text)
@@ -183,3 +184,100 @@ def test_looser_spans_are_added(spark):
     rows = [(i, f"mail u{i}@host.com or +1 (743) 555-{3000 + i}") for i in range(50)] + [(99, "tel (499) 555-6503 now")]
     got = {r.doc_id: r for r in pii.find(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
     assert got[99].spans == "phone:4:18" and got[99].n_phone == 0
+
+
+def test_reliabilities_of_planted_labelers():
+    """Votes drawn by labelers of known reliability, against a poor one that is right half of the time."""
+    rng = np.random.default_rng(3)
+    truth = rng.random(4000) < 0.6
+    planted = np.array([[0.95, 0.9], [0.8, 0.85], [0.5, 0.5], [0.9, 0.7]])
+    votes = np.stack([np.where(rng.random(4000) < np.where(truth, *p), np.where(truth, 1, -1), np.where(truth, -1, 1)) for p in planted], 1)
+    votes[rng.random(votes.shape) < 0.3] = 0
+    rows, counts = np.unique(votes, axis=0, return_counts=True)
+    right, chance = pii.reliabilities(rows, np.zeros(len(rows), int), counts.astype(float))
+    assert np.abs(right - planted).max() < 0.08
+    at = {tuple(r): c for r, c in zip(rows, chance, strict=True)}
+    judged = np.array([at[tuple(v)] >= 0.5 for v in votes])
+    majority = votes.sum(1) > 0
+    # the best that can be had, knowing the planted reliabilities
+    odds = np.log(0.6 / 0.4) + (votes == 1) @ np.log(planted[:, 0] / (1 - planted[:, 1])) + (votes == -1) @ np.log((1 - planted[:, 0]) / planted[:, 1])
+    best = ((odds >= 0) == truth).mean()
+    assert (judged == truth).mean() >= best - 0.01 and (judged == truth).mean() > (majority == truth).mean() + 0.02
+
+
+def test_span_classifier_follows_the_chances():
+    names = list(pii.FIELDS)
+    rows = np.array([[r, g, c, e, 3, 1] for r in range(3) for g in range(3) for c in range(3) for e in range(2)])
+    chance = np.where(rows[:, names.index("context")] == 2, 0.95, 0.05)  # the context alone decides
+    weights, bias = pii.span_classifier(rows, chance, np.ones(len(rows)))
+    score = bias + sum(np.array(w)[rows[:, f]] for f, w in enumerate(weights))
+    assert ((score >= 0) == (chance > 0.5)).all()
+
+
+def test_votes_overrule_a_pattern(spark):
+    """Hits of one loose pattern: those behind words for phones stay, those behind words for things go."""
+    rows = [(i, f"phone 212.{300 + i}.1234 now") for i in range(30)] + [(100 + i, f"part 212.{300 + i}.1234 ref") for i in range(30)]
+    rows += [(200 + i, f"mail u{i}@host.com or +1 (743) 555-{3000 + i}") for i in range(30)] + [(300, "card 4111111111111112"), (301, 'token = "04dbebab91ab85687d33eeaaf9ac699e1188f962" x'), (302, "token: abcdefghijklmnopqrstuvw")]
+    got = {r.doc_id: r for r in pii.find(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert all(got[i].spans == "phone:6:18" and got[i].n_phone == 0 for i in range(30))
+    assert all(got[100 + i].spans == "" for i in range(30))
+    assert all(got[200 + i].n_spans == 2 for i in range(30))
+    assert got[300].spans == "" and got[301].spans.startswith("secret:0:") and got[302].spans == ""
+
+
+def test_personal_data_of_the_tables(spark):
+    """What is planted in the documents: base spans of all kinds, and every assigned token."""
+    docs = queries.table(spark, SF, "documents")
+    got = {r.doc_id: r.spans for r in pii.find(docs).collect()}
+    for doc_id, text in docs.select("doc_id", "text").collect():
+        tokens = len(re.findall(r'(?i)token = "[0-9a-f]{40}"', text or ""))
+        assert got[doc_id].count("secret:") == tokens
+        assert bool(got[doc_id]) == bool(tokens or base_spans(text))
+
+
+def matched(parsed):
+    """Texts that a parsed pattern of the URL rules matches: one or two of each repeat."""
+    out = [""]
+    for op, arg in parsed:
+        match str(op):
+            case "LITERAL":
+                parts = [chr(arg)]
+            case "NOT_LITERAL" | "ANY":
+                parts = ["x"]
+            case "IN":
+                if str(arg[0][0]) == "NEGATE":
+                    parts = ["/"]
+                else:
+                    parts = [chr(v) if str(k) == "LITERAL" else chr(v[0]) for k, v in arg]
+            case "AT":
+                parts = [""]
+            case "SUBPATTERN":
+                parts = matched(arg[-1])
+            case "BRANCH":
+                parts = [t for b in arg[1] for t in matched(b)]
+            case "MAX_REPEAT":
+                once = matched(arg[2])
+                parts = (["", *once] if arg[0] == 0 else once)[:3]
+            case _:
+                raise ValueError(op)
+        out = [a + b for a in out for b in parts][:400]
+    return out
+
+
+def test_every_match_of_a_url_rule_holds_its_tokens():
+    for _, tokens, pattern in url_filter.PATTERN_RULES:
+        plain = pattern.replace("\\z", "$")
+        texts = [a + t + b for t in matched(re._parser.parse(plain)) for a in ("", "http://a.b/") for b in ("", "5", "/x", "?q")]
+        texts = [t for t in texts if re.search(pattern.replace("\\z", r"\Z"), t)]
+        assert texts and all(set(tokens) <= set(re.split("[^a-z0-9]+", t)) for t in texts), pattern
+
+
+def test_url_rules_at_the_end(spark):
+    urls = ["http://a.net/wp-login.php5?x", "http://a.net/wp-login.php?x", "http://a.net/" + "x" * 50_000 + ".exe", "http://a.net/a.exe\n", None]
+    rows = [(i, u) for i, u in enumerate(urls)]
+    con = duckdb.connect()
+    con.execute("CREATE TABLE pages (page_id BIGINT, url VARCHAR)")
+    con.executemany("INSERT INTO pages VALUES (?, ?)", rows)
+    got = url_filter.judge(spark.createDataFrame(rows, "page_id long, url string")).collect()
+    assert sorted(map(repr, map(tuple, got))) == sorted(map(repr, con.execute(url_filter.oracle_sql()).fetchall()))
+    assert {r.page_id: r.verdict for r in got} == {0: "allow", 1: "block", 2: "block", 3: "allow", 4: "allow"}
