@@ -97,3 +97,17 @@ def test_pipeline(spark):
         at = spark.createDataFrame(stage(spark, at, SF).collect(), docs.schema)
     final = {r.doc_id: r.n_tokens for r in corpus_pipeline.run(spark, SF).collect()}
     assert set(final) == {r.doc_id for r in at.collect()} and all(n > 1 for n in final.values())
+
+
+@pytest.mark.parametrize("empty", [False, True])
+def test_stages_on_odd_tables(spark, odd, none, empty):
+    """Nulls, empty and long texts, repeated rows and clashing columns pass through all stages; nothing gives nothing."""
+    docs = none if empty else odd
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        after = stage(spark, docs, SF)
+        assert after.columns == docs.columns, name
+        rows = after.collect()
+        assert {(r.doc_id, r.text) for r in rows} <= {(r.doc_id, r.text) for r in docs.collect()} and not (empty and rows), name
+    assert corpus_pipeline.as_pieces(spark, docs, SF).count() == docs.count()
+    left = {r.doc_id for r in corpus_pipeline.without_copies(spark, docs, SF).collect()}
+    assert empty or {3, 5, 14} <= left and not left & {0, 1, 2, 100, 101}  # of texts without words the longest stays
