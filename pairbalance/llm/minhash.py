@@ -5,8 +5,9 @@ offers j plus a random fraction to its place, and each place keeps the least off
 its places hold less than the next round can offer, so large sets take one or two rounds. The places of a signature
 are negatively correlated, which lowers the variance of the estimate.
 
-Documents of equal sets are one numbered node. Bands of signature values give buckets. Documents meet their candidates in two
-ways, neither of which lists the pairs of a large group:
+Documents of equal sets are one numbered node. Bands of signature values give buckets; of buckets with the same members, which
+close copies share in most bands, the one of the first band stands for all. Documents meet their candidates in two ways,
+neither of which lists the pairs of a large group:
 
 1. stars: every member of a bucket is compared with the bucket's hub, the member that shares the largest buckets with
    others; of its hubs each document keeps the one of the best estimate. Confirmed links are joined to components.
@@ -235,13 +236,22 @@ def _nodes(rows: DataFrame) -> DataFrame:
     return cut(sets.select(F.monotonically_increasing_id().alias("node"), "first.id", "first.place", "digest", "bands"), "nodes")
 
 
+def _buckets(keyed: DataFrame) -> DataFrame:
+    """(key, size, copies) of the buckets of two or more rows of (id, band, key). Of buckets that have the same members, by
+    count and 128 bits over their ids, the one of the first band stays, and copies is their number: every pair still
+    meets in the first band that it shares."""
+    both = (F.bit_xor(F.xxhash64("id", F.lit(seed))).alias(name) for seed, name in enumerate(("x", "y")))
+    buckets = keyed.groupBy("key").agg(F.count("*").alias("size"), F.min("band").alias("band"), *both).where("size > 1")
+    return buckets.groupBy("size", "x", "y").agg(F.min_by("key", "band").alias("key"), F.count("*").alias("copies")).select("key", "size", "copies")
+
+
 def _node_labels(docs: DataFrame, nodes: DataFrame, id_column: str, text_column: str) -> DataFrame:
     """(id, component) of the nodes that have a link."""
     # the members of buckets of two or more
     keyed = nodes.select(F.col("node").alias("id"), F.posexplode("bands").alias("band", "key"))
-    shared = cut(keyed.groupBy("key").agg(F.count("*").alias("size")).where("size > 1"), "buckets")
+    shared = cut(_buckets(keyed), "buckets")
     members = join_dealt(keyed, shared, "key", "id", shared, nodes.count() * BANDS)
-    members = cut(members.select("key", "band", "size", "id"), "members")
+    members = cut(members.select("key", "band", "size", "copies", "id"), "members")
     salts = salts_of(F.col("size"))
 
     def of_bucket(left: DataFrame, right: DataFrame) -> DataFrame:
@@ -251,7 +261,7 @@ def _node_labels(docs: DataFrame, nodes: DataFrame, id_column: str, text_column:
     wanted = nodes.join(members.select(F.col("id").alias("node")).distinct(), "node", "left_semi").select("id", "place", "node")
     full = cut(_full_sets(docs, wanted, id_column, text_column), "sets").dropDuplicates(["node"])
     # stars
-    central = members.groupBy("id").agg(F.sum("size").alias("weight"))
+    central = members.groupBy("id").agg(F.sum(F.col("size") * F.col("copies")).alias("weight"))
     hubs = members.join(central, "id").groupBy("key").agg(F.max_by("id", F.struct("weight", F.xxhash64("id"))).alias("hub"), F.first("size").alias("size"))
     spokes = cut(of_bucket(members, hubs).where("id <> hub").select(F.col("id").alias("a"), F.col("hub").alias("b")).distinct(), "spokes")
     tried = cut(_compared(spokes, full).groupBy("a").agg(F.max_by("b", "estimate").alias("b")), "stars")

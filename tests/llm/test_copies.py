@@ -130,6 +130,28 @@ def test_hot_keys_are_dealt_out(spark, monkeypatch):
     assert sorted(dealt.beside(left, right, "k", "id").collect()) == sorted(left.join(right, "k").collect())
 
 
+def test_buckets_of_the_same_members_are_one(spark):
+    draw = random.Random(3)
+    rows = [(i, b, b * 100 + draw.randrange(3) if i < 40 else b * 100 + 50 + i // 2) for i in range(60) for b in range(12)]
+    kept = {r["key"]: (r["size"], r["copies"]) for r in minhash._buckets(spark.createDataFrame(rows, "id long, band int, key long")).collect()}
+    members = collections.defaultdict(set)
+    for i, _, key in rows:
+        members[key].add(i)
+    same = collections.defaultdict(list)
+    for key, ids in members.items():
+        if len(ids) > 1:
+            same[frozenset(ids)].append(key)
+    assert kept == {min(keys): (len(ids), len(keys)) for ids, keys in same.items()}
+    # no pair loses the first bucket that it shares
+    first = {}
+    for key in sorted(members):
+        for a in members[key]:
+            for b in members[key]:
+                if a < b:
+                    first.setdefault((a, b), key)
+    assert set(first.values()) <= set(kept)
+
+
 def test_near_duplicates_of_nothing(none, odd):
     assert minhash.near_duplicates(none).collect() == []
     assert minhash.one_of_each(odd).columns == odd.columns
