@@ -245,13 +245,20 @@ def _buckets(keyed: DataFrame) -> DataFrame:
     return buckets.groupBy("size", "x", "y").agg(F.min_by("key", "band").alias("key"), F.count("*").alias("copies")).select("key", "size", "copies")
 
 
+def _members(nodes: DataFrame) -> DataFrame:
+    """(key, band, size, copies, id) of the nodes in the buckets, written. Most keys have one node: they are counted and
+    dropped before members are hashed. Both joins meet one row a key and are followed by no exchange, so Spark can
+    split a key of many rows."""
+    keyed = nodes.select(F.col("node").alias("id"), F.posexplode("bands").alias("band", "key"))
+    shared = cut(sizes_of(keyed, "key").where("size > 1").select("key"), "shared")
+    met = cut(keyed.join(shared, "key", "left_semi"), "met")
+    chosen = cut(_buckets(met), "buckets")
+    return cut(met.join(chosen, "key").select("key", "band", "size", "copies", "id"), "members")
+
+
 def _node_labels(docs: DataFrame, nodes: DataFrame, id_column: str, text_column: str) -> DataFrame:
     """(id, component) of the nodes that have a link."""
-    # the members of buckets of two or more
-    keyed = nodes.select(F.col("node").alias("id"), F.posexplode("bands").alias("band", "key"))
-    shared = cut(_buckets(keyed), "buckets")
-    members = join_dealt(keyed, shared, "key", "id", shared, nodes.count() * BANDS)
-    members = cut(members.select("key", "band", "size", "copies", "id"), "members")
+    members = _members(nodes)
     salts = salts_of(F.col("size"))
 
     def of_bucket(left: DataFrame, right: DataFrame) -> DataFrame:
