@@ -102,3 +102,11 @@ def test_blocking_loss_has_no_cap(spark, table, monkeypatch):
     monkeypatch.setattr(queries.whole_block, "all_pairs", capped)
     n, k = len(brute(table[1], lambda *_: True)), len(brute(table[1], same_key))
     assert tuple(queries.QUERIES["blocking_loss"](spark, table[0]).first()) == (n, k, n - k)
+
+
+def test_uncell_reads_the_sizes_of_blocks(spark, table):
+    """The numbers follow the pages: a block of seven titles, one of two and single ones."""
+    sizes = {k: len(list(g)) for k, g in itertools.groupby(sorted(t.strip()[:3].lower() for _, t, _ in table[1]))}
+    expected = {(n, p, x, y) for n in set(sizes.values()) for p, (x, y) in enumerate(itertools.combinations(range(n), 2))}
+    got = [tuple(r) for r in queries.QUERIES["uncell_roundtrip"](spark, table[0]).collect()]
+    assert set(got) == expected and len(got) == len(expected) > 20
